@@ -1,6 +1,229 @@
-def queries():
-    return {}
+"""All queries by name, each over the whole given tables, with SQL twins for DuckDB."""
 
+from __future__ import annotations
 
-def oracle_sql():
-    return {}
+from collections.abc import Callable
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+from pyspark.sql import types as T
+
+from twigrank.model import Algebra, TreePattern, parse_pattern
+from twigrank.functions import relational
+from twigrank.operators import baselines, index, kernel, metrics, search, sweep
+from twigrank.plans import sqlgen, workloads
+from twigrank.plans.workloads import context, oracle, pattern
+from twigrank.sources import graphs
+from twigrank.streaming import streams
+
+Query = Callable[[SparkSession, str], DataFrame]
+QUERIES: dict[str, Query] = {}
+ORACLES: dict[str, str] = {}
+
+
+def add(name: str, query: Query, sql: str | None = None) -> None:
+    def whole(spark: SparkSession, sf_dir: str) -> DataFrame:
+        df = query(spark, sf_dir)
+        # whole numbers are all BIGINT, as in the twins
+        return df.select([F.col(f.name).cast("long").alias(f.name) if isinstance(f.dataType, (T.IntegerType, T.ShortType, T.ByteType)) else F.col(f.name) for f in df.schema])
+
+    QUERIES[name] = whole
+    if sql:
+        ORACLES[name] = sql
+
+
+def ranking(name: str, graph: str, p: TreePattern, size: int, k: int | None, method: str = "guided", injective: bool = True, algebra: Algebra = Algebra.SUM, node_weight: bool = False, first: int = 0, make: Callable | None = None, twin: bool = True) -> None:
+    def query(spark: SparkSession, sf_dir: str) -> DataFrame:
+        ctx = context(spark, sf_dir, graph)
+        if make:
+            return make(ctx)
+        if algebra is not Algebra.SUM or node_weight:
+            cg = ctx.candidates(p, size, algebra=algebra, node_weight=node_weight)
+            return search.topk_iso(cg, k) if injective else search.topk(cg, k)
+        return workloads.run(ctx, p, size, k, method, injective)
+
+    body = sqlgen.top(p, k, algebra, injective, node_weight, first)
+    needs_nodes = node_weight or any(n.labels_all or n.labels_any for n in p.nodes.values())
+    add(name, query, oracle(graph, p, size, body, sqlgen.nodes() if needs_nodes else "") if twin else None)
+
+
+TRADE = {t: pattern("trade4", t) for t in workloads.TEMPLATES["trade4"]}
+N = workloads.BATCH
+
+# ---- the graphs and the index
+for g in ("trade4", "activity", "sparse6", "docs", "talk", "web"):
+    add(f"graph_{g}_edges", lambda s, d, g=g: context(s, d, g).index.arcs.where("dir = 1").select("src", "dst", "src_type", "dst_type", "elabel", "w"), f"WITH {sqlgen.GRAPHS[g]()} SELECT src, dst, src_type, dst_type, elabel, w FROM arcs WHERE dir = 1")
+    add(f"graph_stats_{g}", lambda s, d, g=g: metrics.graph_stats(context(s, d, g).index.arcs), f"WITH {sqlgen.GRAPHS[g]()} SELECT (SELECT count(DISTINCT src) FROM arcs) AS nodes, (SELECT count(*) FROM edges) AS edges, (SELECT count(DISTINCT src_type) FROM arcs) AS labels, (SELECT count(*) * 1000 FROM edges) // (SELECT count(DISTINCT src) FROM arcs) AS density_milli")
+add("graph_knn_edges", lambda s, d: context(s, d, "knn").index.arcs.where("dir = 1").select("src", "dst", "w"))
+add("density_by_label_pair", lambda s, d: metrics.label_pairs(context(s, d, "trade4").index.arcs), f"WITH {sqlgen.trade()} SELECT src_type, dst_type, count(*) AS arcs, sum(w)::BIGINT AS total_w FROM arcs GROUP BY ALL")
+add("degree_by_label", lambda s, d: metrics.degrees(context(s, d, "trade4").index.arcs), f"WITH {sqlgen.trade()}, deg AS (SELECT src, src_type, dst_type, count(*) AS n FROM arcs GROUP BY ALL) SELECT src_type, dst_type, max(n) AS max_degree, min(n) AS min_degree, count(*) AS nodes FROM deg GROUP BY ALL")
+
+
+def _some_ids(spark: SparkSession) -> DataFrame:
+    return spark.range(20).select((F.col("id") * 37 + 3 * graphs.BASE).alias("node_id"))
+
+
+for label in ("supplier", None):
+    add(f"neighbors_lookup_{label or 'any'}", lambda s, d, label=label: context(s, d, "trade4").index.neighbors(_some_ids(s), label), f"WITH {sqlgen.trade()} SELECT src AS node_id, dst AS neighbor, w FROM arcs WHERE src IN (SELECT range * 37 + {3 * graphs.BASE} FROM range(20))" + (f" AND dst_type = '{label}'" if label else ""))
+
+
+def _delta(spark: SparkSession, sf_dir: str) -> DataFrame:
+    arcs = context(spark, sf_dir, "trade4").index.arcs.where("src_type = 'customer' and dst_type = 'order'")
+    orders = graphs.read(spark, sf_dir, "orders").select(graphs.node("customer", F.col("o_custkey")).alias("src"), graphs.node("order", F.col("o_orderkey")).alias("dst"), "o_orderstatus")
+    gone = orders.where("o_orderstatus = 'F'")
+    fresh = orders.where("o_orderstatus <> 'F'").select("src", "dst", F.lit("customer").alias("src_type"), F.lit("order").alias("dst_type"), F.lit("customer-order").alias("elabel"), F.lit(500_000).cast("long").alias("w"))
+    return index.apply_delta(arcs, fresh, gone)
+
+
+add("index_delta", _delta, f"WITH {sqlgen.trade()}, o AS (SELECT {sqlgen.node('customer', 'o_custkey')} AS src, {sqlgen.node('order', 'o_orderkey')} AS dst, o_orderstatus AS st FROM orders), l AS (SELECT a.src, a.dst, w FROM arcs a WHERE src_type = 'customer' AND dst_type = 'order' AND NOT EXISTS (SELECT 1 FROM o WHERE o.src = a.src AND o.dst = a.dst AND st = 'F') UNION ALL SELECT src, dst, 500000 FROM o WHERE st <> 'F') SELECT src, dst, 'customer' AS src_type, 'order' AS dst_type, 'customer-order' AS elabel, min(w)::BIGINT AS w FROM l GROUP BY src, dst")
+add("weight_decay", lambda s, d: graphs.read(s, d, "orders").select("o_orderkey", graphs.decay(F.col("o_orderdate"), graphs.TRADE_DAY, graphs.TRADE_TAU).alias("w")), f"SELECT o_orderkey, {sqlgen.decay('o_orderdate')} AS w FROM orders")
+for kind in ("members", "activity"):
+    expr = "a.deg + b.deg" if kind == "members" else "a.deg"
+    add(f"weight_{kind}", lambda s, d, kind=kind: graphs.weight_by(context(s, d, "trade4").index, kind).select("src", "dst", "w"), f"WITH {sqlgen.trade()}, g AS (SELECT src, count(*) AS deg FROM arcs GROUP BY src) SELECT x.src, x.dst, {expr} AS w FROM arcs x JOIN g a ON a.src = x.src JOIN g b ON b.src = x.dst")
+_rank_sql = "r0 AS (SELECT src AS node, 1000000000::BIGINT AS rank FROM g)" + "".join(f", r{i} AS (SELECT x.dst AS node, (sum(floor(r.rank * 85 / 100 / g.deg)::BIGINT) + 150000000)::BIGINT AS rank FROM arcs x JOIN g ON g.src = x.src JOIN r{i - 1} r ON r.node = x.src GROUP BY x.dst)" for i in range(1, 6))
+add("weight_pagerank", lambda s, d: graphs.pagerank(context(s, d, "trade4").index.arcs), f"WITH {sqlgen.trade()}, g AS (SELECT src, count(*) AS deg FROM arcs GROUP BY src), {_rank_sql} SELECT node, rank FROM r5")
+
+# ---- the reduction
+T5 = TRADE["T5"]
+
+
+def _cg(s: SparkSession, d: str, t: str = "T5", **options) -> sweep.CandidateGraph:
+    return context(s, d, "trade4").candidates(TRADE[t], N, **options)
+
+
+_arcs = lambda a, b: f"(SELECT src, dst, w FROM arcs WHERE src_type = '{a}' AND dst_type = '{b}')"
+_T5 = f"""l AS (SELECT b.qid, b.pnode, a.dst AS c, b.node_id AS d, w FROM bindings b JOIN {_arcs('supplier', 'part')} a ON a.src = b.node_id),
+m AS (SELECT qid, pnode, c, min(w) AS m FROM l GROUP BY ALL),
+p1 AS (SELECT x.qid, x.c, x.m AS m_s, y.m AS m_s2, x.m + y.m AS floor FROM m x JOIN m y USING (qid, c) WHERE x.pnode = 's' AND y.pnode = 's2'),
+p2 AS (SELECT qid, c, m AS m_s3, m AS floor FROM m WHERE pnode = 's3'),
+lo AS (SELECT qid, 'p' AS pnode, a.dst AS c, p1.c AS d, a.w, a.w + floor AS wf FROM p1 JOIN {_arcs('part', 'order')} a ON a.src = p1.c UNION ALL SELECT qid, 'p2', a.dst, p2.c, a.w, a.w + floor FROM p2 JOIN {_arcs('part', 'order')} a ON a.src = p2.c),
+mo AS (SELECT qid, pnode, c, min(wf) AS m FROM lo GROUP BY ALL),
+root AS (SELECT x.qid, x.c, x.m AS m_p, y.m AS m_p2, x.m + y.m AS floor FROM mo x JOIN mo y USING (qid, c) WHERE x.pnode = 'p' AND y.pnode = 'p2')"""
+add("sweep_leaf_seed", lambda s, d: sweep.seed(context(s, d, "trade4").index, T5, "s", context(s, d, "trade4").bindings(T5, N)), oracle("trade4", T5, N, "SELECT qid, node_id AS c FROM bindings WHERE pnode = 's'"))
+add("sweep_links_T5", lambda s, d: _cg(s, d).link["p"].select("qid", "c", "d", "w", "wf"), oracle("trade4", T5, N, "SELECT qid, c, d, w, wf FROM lo WHERE pnode = 'p'", _T5))
+add("sweep_floor_T5", lambda s, d: _cg(s, d).reach["p"].select("qid", "c", "m_s", "m_s2", "floor"), oracle("trade4", T5, N, "SELECT qid, c, m_s, m_s2, floor FROM p1", _T5))
+add("sweep_reach_T5", lambda s, d: _cg(s, d).reach["o"].select("qid", "c", "m_p", "m_p2", "floor"), oracle("trade4", T5, N, "SELECT qid, c, m_p, m_p2, floor FROM root", _T5))
+add("sweep_down_T5", lambda s, d: sweep.sweep_down(_cg(s, d)).reach["p"].select("qid", "c", "floor"), oracle("trade4", T5, N, "SELECT qid, c, floor FROM p1 WHERE (qid, c) IN (SELECT lo.qid, lo.d FROM lo JOIN root ON lo.qid = root.qid AND lo.c = root.c WHERE pnode = 'p')", _T5))
+_after = lambda t, l: f"(SELECT count(*) FROM {t} WHERE (qid, c) IN (SELECT lo.qid, lo.d FROM lo JOIN root ON lo.qid = root.qid AND lo.c = root.c WHERE pnode = '{l}'))"
+add("spurious_T5", lambda s, d: metrics.spurious(_cg(s, d)).where("pnode in ('o', 'p', 'p2')"), oracle("trade4", T5, N, f"SELECT 'o' AS pnode, count(*) AS after_up, count(*) AS after_down FROM root UNION ALL SELECT 'p', (SELECT count(*) FROM p1), {_after('p1', 'p')} UNION ALL SELECT 'p2', (SELECT count(*) FROM p2), {_after('p2', 'p2')}", _T5))
+for t, p in TRADE.items():
+    add(f"count_matches_{t}", lambda s, d, t=t: sweep.count_matches(_cg(s, d, t)).withColumn("n", F.col("n").cast("long")), oracle("trade4", p, N, f"SELECT qid, count(*) AS n FROM ({sqlgen.tree_join(p, injective=False)}) GROUP BY qid"))
+add("rk_buckets_T5", lambda s, d: workloads.easy_and_hard(_cg(s, d)), oracle("trade4", T5, N, f"SELECT CASE WHEN n <= 2 THEN '1-2' WHEN n < 100 THEN '3-99' ELSE '100+' END AS bucket, count(*) AS queries, sum(n)::BIGINT AS matches FROM (SELECT qid, count(*) AS n FROM ({sqlgen.tree_join(T5, injective=False)}) GROUP BY qid) GROUP BY 1"))
+
+# ---- the methods on the main graph
+for t, p in TRADE.items():
+    for method in ("guided", "bulk", "spine", "kernel"):
+        ranking(f"{method}_{t}_k5", "trade4", p, N, 5, method)
+    ranking(f"batch300_{t}", "trade4", p, N, 1)
+    add(f"naive_{t}_k5", lambda s, d, p=p: _naive(s, d, p), oracle("trade4", p, N, sqlgen.top(p, 5)))
+ranking("guided_hom_T2_k5", "trade4", TRADE["T2"], N, 5, injective=False)
+ranking("guided_hom_T5_k5", "trade4", T5, N, 5, injective=False)
+ranking("guided_iso_T2_k5", "trade4", TRADE["T2"], N, 5)
+ranking("bulk_all_T3", "trade4", TRADE["T3"], N, None, make=lambda ctx: baselines.bulk(ctx.candidates(TRADE["T3"], N), None))
+ranking("spine_nok_T4", "trade4", TRADE["T4"], N, 5, make=lambda ctx: baselines.spine(ctx.index, TRADE["T4"], ctx.bindings(TRADE["T4"], N), 5, known_k=False))
+ranking("kernel_plain_T3_k5", "trade4", TRADE["T3"], N, 5, make=lambda ctx: kernel.run(ctx.candidates(TRADE["T3"], N), 5, in_hand=False))
+ranking("kernel_bulk_T3_k5", "trade4", TRADE["T3"], N, 5, make=lambda ctx: kernel.run(ctx.candidates(TRADE["T3"], N), 5, method="bulk"))
+for k in (1, 10, 100, 1000):
+    ranking(f"guided_hom_T5_k{k}", "trade4", T5, N, k, injective=False)
+
+
+def _naive(spark: SparkSession, sf_dir: str, p: TreePattern) -> DataFrame:
+    ctx = context(spark, sf_dir, "trade4")
+    ctx.index.arcs.createOrReplaceTempView("arcs_naive")
+    ctx.bindings(p, N).createOrReplaceTempView("bindings_naive")
+    return baselines.naive(spark, sqlgen.top(p, 5).replace(" arcs e", " arcs_naive e").replace(" bindings b_", " bindings_naive b_"))
+
+
+def _page2(ctx) -> DataFrame:
+    cursor = search.AnyK(ctx.candidates(T5, N))
+    cursor.next(5)
+    return cursor.next(5)
+
+
+ranking("page2_T5", "trade4", T5, N, 5, injective=False, first=5, make=_page2)
+
+
+def _upto(spark: SparkSession, sf_dir: str) -> DataFrame:
+    cg = sweep.fixed(_cg(spark, sf_dir))
+    best = search.topk(cg, 1).select("qid", F.floor(F.col("weight") * 11 / 10).cast("long").alias("t"))
+    return search.upto(cg, best)
+
+
+add("upto_T5", _upto, oracle("trade4", T5, N, "SELECT qid, row_number() OVER (PARTITION BY qid ORDER BY cost, n0, n1, n2, n3, n4, n5) AS rank, cost AS weight, n0, n1, n2, n3, n4, n5 FROM (SELECT *, min(cost) OVER (PARTITION BY qid) AS low FROM m) WHERE cost <= floor(low * 11 / 10)", f"m AS ({sqlgen.tree_join(T5, injective=False)})"))
+
+
+def _udtf(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return kernel.lateral(sweep.sweep_down(_cg(spark, sf_dir, "T1")), 5)
+
+
+add("udtf_T1_k5", _udtf, oracle("trade4", TRADE["T1"], N, sqlgen.top(TRADE["T1"], 5)))
+
+# ---- weight algebras and richer patterns
+for name, algebra in (("heaviest", Algebra.SUM_MAX), ("reliable", Algebra.RELIABILITY), ("bottleneck", Algebra.MAX), ("maxbottleneck", Algebra.MAX_MAX), ("minedge", Algebra.MIN)):
+    ranking(f"{name}_T1", "trade4", TRADE["T1"], N, 5, algebra=algebra)
+    ranking(f"{name}_T5", "trade4", T5, 60, 5, injective=False, algebra=algebra)
+ranking("node_weights_T1", "trade4", TRADE["T1"], N, 5, node_weight=True)
+ranking("edge_label_T1", "flags", TRADE["T1"].with_edges(p={"elabel": "R"}), N, 5)
+ranking("directed_T1", "trade4", TRADE["T1"].with_edges(p={"direction": "out"}, c={"direction": "in"}), N, 5)
+ranking("multilabel_T3", "trade4", TRADE["T3"].with_nodes(p={"labels_any": ("size 1", "size 2", "size 3", "size 5", "size 8")}), N, 5)
+ranking("alllabels_T1", "trade4", TRADE["T1"].with_nodes(o={"labels_all": ("O",)}), N, 5)
+_TEN = tuple(graphs.CODES["supplier"] * graphs.BASE + i for i in range(10))
+ranking("idset_T1", "trade4", TRADE["T1"].with_nodes(s={"bound": False, "ids": _TEN}), N, 5)
+ranking("free_terminal_T5", "trade4", T5.with_nodes(s3={"bound": False}), N, 5, injective=False)
+
+
+def _rerooted(ctx) -> DataFrame:
+    other = T5.reroot("p")
+    rows = search.topk_iso(ctx.candidates(other, N), 1)
+    return rows.select("qid", "rank", "weight")
+
+
+add("reroot_T5", lambda s, d: _rerooted(context(s, d, "trade4")), oracle("trade4", T5, N, f"SELECT qid, rank, weight FROM ({sqlgen.top(T5, 1)})"))
+add("choose_root_T5", lambda s, d: s.createDataFrame([(sweep.choose_root(context(s, d, "trade4").index, T5.with_nodes(s3={"bound": False})),)], "root string"))
+_single = parse_pattern("(c:customer)")
+ranking("single_node", "trade4", _single, 1, 50, make=lambda ctx: search.topk(ctx.candidates(_single, 1), 50), twin=False)
+ORACLES["single_node"] = f"WITH {sqlgen.trade()} SELECT 0 AS qid, row_number() OVER (ORDER BY src) AS rank, 0 AS weight, src AS n0 FROM (SELECT DISTINCT src FROM arcs WHERE src_type = 'customer') QUALIFY rank <= 50"
+_edge = parse_pattern("(p:part)-(s:supplier*)")
+ranking("single_edge", "trade4", _edge, N, 5)
+ranking("iso_filter_T2", "trade4", TRADE["T2"], 60, None, make=lambda ctx: search.iso_filter(TRADE["T2"], search.upto(ctx.candidates(TRADE["T2"], 60), 1 << 60)).drop("rank"), twin=False)
+ORACLES["iso_filter_T2"] = oracle("trade4", TRADE["T2"], 60, "SELECT qid, cost AS weight, n0, n1, n2, n3, n4 FROM m", f"m AS ({sqlgen.tree_join(TRADE['T2'])})")
+_pairs = "list_aggregate(list_sort(list_distinct([{}])), 'string_agg', ' ')".format(", ".join(f"least(n{TRADE['T2'].place(e.parent)}, n{TRADE['T2'].place(e.child)}) || '-' || greatest(n{TRADE['T2'].place(e.parent)}, n{TRADE['T2'].place(e.child)})" for e in TRADE["T2"].edges))
+add("distinct_subgraphs_T2", lambda s, d: search.distinct_subgraphs(TRADE["T2"], search.upto(context(s, d, "trade4").candidates(TRADE["T2"], 20), 1 << 60)), oracle("trade4", TRADE["T2"], 20, f"SELECT qid, {_pairs} AS edges, min(cost) AS weight FROM m GROUP BY ALL", f"m AS ({sqlgen.tree_join(TRADE['T2'], injective=False)})"))
+for t in ("T1", "T2", "T5"):
+    p = TRADE[t]
+    same = " OR ".join(f"n{i} = n{j}" for i, j in p.overlapping_pairs()) or "false"
+    add(f"hom_vs_iso_curve_{t}", lambda s, d, p=p: workloads.iso_curve(p, search.topk(context(s, d, "trade4").candidates(p, 30), 200)), oracle("trade4", p, 30, f"SELECT qid, rank, (sum(CASE WHEN {same} THEN 0 ELSE 1 END) OVER (PARTITION BY qid ORDER BY rank))::BIGINT AS iso FROM ({sqlgen.top(p, 200, injective=False)})"))
+
+# ---- the methods on the other graphs
+for g in ("trade3", "activity", "sparse6"):
+    for t, text in workloads.TEMPLATES[g].items():
+        n = workloads.HEAVY.get((g, t), N)
+        ranking(f"{g}_{t}_k5", g, parse_pattern(text), n, 5)
+        ranking(f"{g}_{t}_k5_bulk", g, parse_pattern(text), n, 5, "bulk")
+        if (g, t) not in workloads.HEAVY:
+            ranking(f"{g}_{t}_k5_spine", g, parse_pattern(text), n, 5, "spine")
+ranking("docs_T3", "docs", pattern("docs", "T3"), workloads.SIZES["docs"], 5)
+ranking("talk_path", "talk", pattern("talk", "path"), workloads.SIZES["talk"], 5)
+ranking("web_path", "web", pattern("web", "path"), workloads.SIZES["web"], 5)
+add("knn_T2", lambda s, d: workloads.run(context(s, d, "knn"), pattern("knn", "T2"), workloads.SIZES["knn"], 5, "guided"))
+
+# ---- measures
+add("metrics_counters", lambda s, d: metrics.counters_by_method(context(s, d, "trade4"), TRADE, 60))
+add("metrics_gaps", lambda s, d: metrics.answer_gaps(sweep.sweep_down(context(s, d, "trade4").candidates(T5, 4))))
+add("metrics_anyk_overhead", lambda s, d: metrics.overhead(sweep.sweep_down(context(s, d, "trade4").candidates(T5, 4))))
+add("metrics_speedup", lambda s, d: metrics.speedups(workloads.experiment(s, d, [("trade4", "T3"), ("trade4", "T4")])))
+add("experiment_density", lambda s, d: metrics.by_density(context(s, d, "trade4"), TRADE["T3"], 60))
+add("candidate_graph_size", lambda s, d: metrics.candidate_size(_cg(s, d)), None)
+
+for name, (query, sql) in relational.ENTRIES.items():
+    add(name, query, sql)
+for name, (query, sql) in streams.ENTRIES.items():
+    add(name, query, sql)
+
+
+def queries() -> dict[str, Query]:
+    return dict(QUERIES)
+
+
+def oracle_sql() -> dict[str, str]:
+    return dict(ORACLES)
