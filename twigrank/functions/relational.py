@@ -32,11 +32,12 @@ _CENTS = "round({} * 100)::BIGINT".format
 # ---- joins
 def _join(s: SparkSession, d: str, how: str) -> DataFrame:
     c, o = read(s, d, "customer").select("c_custkey", "c_nationkey"), read(s, d, "orders").where("o_orderstatus = 'F'").select("o_orderkey", "o_custkey")
-    return c.join(o, c.c_custkey == o.o_custkey, how)
+    out = c.join(o, c.c_custkey == o.o_custkey, how)
+    return out.select(*[F.coalesce(F.col(x).cast("long"), F.lit(-1)).alias(x) for x in out.columns])
 
 
 for _how, _sql in (("inner", "JOIN"), ("left", "LEFT JOIN"), ("right", "RIGHT JOIN"), ("full", "FULL JOIN"), ("left_semi", "SEMI JOIN"), ("left_anti", "ANTI JOIN")):
-    ENTRIES[f"join_{_how}"] = (lambda s, d, how=_how: _join(s, d, how), f"SELECT * FROM (SELECT c_custkey, c_nationkey FROM customer) c {_sql} (SELECT o_orderkey, o_custkey FROM orders WHERE o_orderstatus = 'F') o ON c_custkey = o_custkey")
+    ENTRIES[f"join_{_how}"] = (lambda s, d, how=_how: _join(s, d, how), f"SELECT coalesce(COLUMNS(*)::BIGINT, -1) FROM (SELECT c_custkey, c_nationkey FROM customer) c {_sql} (SELECT o_orderkey, o_custkey FROM orders WHERE o_orderstatus = 'F') o ON c_custkey = o_custkey")
 _HINTED = "SELECT n_name, count(*) AS customers, sum(round(c_acctbal * 100)::BIGINT)::BIGINT AS cents FROM customer JOIN nation ON c_nationkey = n_nationkey GROUP BY n_name"
 for _hint in ("broadcast", "merge", "shuffle_hash"):
     ENTRIES[f"join_{_hint}"] = (lambda s, d, hint=_hint: read(s, d, "customer").join(read(s, d, "nation").hint(hint), F.col("c_nationkey") == F.col("n_nationkey")).groupBy("n_name").agg(F.count("*").alias("customers"), F.sum(cents("c_acctbal")).alias("cents")), _HINTED)
@@ -112,10 +113,10 @@ def agg_percentile(s, d):
     return read(s, d, "part").groupBy("p_brand").agg(F.expr("percentile_disc(0.5) WITHIN GROUP (ORDER BY cast(round(p_retailprice * 100) AS bigint))").cast("long").alias("median_cents"))
 
 
-@entry("SELECT p_brand, arg_min(p_partkey, (p_retailprice, p_partkey)) AS cheapest, arg_max(p_partkey, (p_retailprice, p_partkey)) AS dearest, list_sort(list_distinct(list(p_size)))::BIGINT[] AS sizes FROM part GROUP BY p_brand")
+@entry("SELECT p_brand, arg_min(p_partkey, (p_retailprice, p_partkey)) AS cheapest, arg_max(p_partkey, (p_retailprice, p_partkey)) AS dearest, array_to_string(list_sort(list_distinct(list(p_size))), ' ') AS sizes FROM part GROUP BY p_brand")
 def agg_min_by_collect(s, d):
     key = F.struct("p_retailprice", "p_partkey")
-    return read(s, d, "part").groupBy("p_brand").agg(F.min_by("p_partkey", key).alias("cheapest"), F.max_by("p_partkey", key).alias("dearest"), F.sort_array(F.collect_set(F.col("p_size").cast("long"))).alias("sizes"))
+    return read(s, d, "part").groupBy("p_brand").agg(F.min_by("p_partkey", key).alias("cheapest"), F.max_by("p_partkey", key).alias("dearest"), F.array_join(F.sort_array(F.collect_set(F.col("p_size"))).cast("array<string>"), " ").alias("sizes"))
 
 
 @entry("SELECT o_orderpriority, count(*) FILTER (WHERE o_orderstatus = 'F') AS F, count(*) FILTER (WHERE o_orderstatus = 'O') AS O, count(*) FILTER (WHERE o_orderstatus = 'P') AS P FROM orders GROUP BY 1")
@@ -140,11 +141,11 @@ def agg_grouping_sets(s, d):
 
 
 # ---- windows, sorting, sets
-@entry("SELECT o_orderkey, row_number() OVER w AS rn, rank() OVER v AS rk, dense_rank() OVER v AS dr, ntile(3) OVER w AS third, lag(o_orderkey) OVER w AS prev, lead(o_orderkey) OVER w AS next, first_value(o_orderkey) OVER w AS first FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey), v AS (PARTITION BY o_custkey ORDER BY o_orderpriority)")
+@entry("SELECT o_orderkey, row_number() OVER w AS rn, rank() OVER v AS rk, dense_rank() OVER v AS dr, ntile(3) OVER w AS third, lag(o_orderkey, 1, -1) OVER w AS prev, lead(o_orderkey, 1, -1) OVER w AS next, first_value(o_orderkey) OVER w AS first FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey), v AS (PARTITION BY o_custkey ORDER BY o_orderpriority)")
 def window_ranks(s, d):
     w = Window.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey")
     v = Window.partitionBy("o_custkey").orderBy("o_orderpriority")
-    return read(s, d, "orders").select("o_orderkey", F.row_number().over(w).alias("rn"), F.rank().over(v).alias("rk"), F.dense_rank().over(v).alias("dr"), F.ntile(3).over(w).alias("third"), F.lag("o_orderkey").over(w).alias("prev"), F.lead("o_orderkey").over(w).alias("next"), F.first("o_orderkey").over(w).alias("first"))
+    return read(s, d, "orders").select("o_orderkey", F.row_number().over(w).alias("rn"), F.rank().over(v).alias("rk"), F.dense_rank().over(v).alias("dr"), F.ntile(3).over(w).alias("third"), F.lag("o_orderkey", 1, -1).over(w).alias("prev"), F.lead("o_orderkey", 1, -1).over(w).alias("next"), F.first("o_orderkey").over(w).alias("first"))
 
 
 @entry(f"SELECT o_orderkey, (sum({_CENTS('o_totalprice')}) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey))::BIGINT AS running, (sum({_CENTS('o_totalprice')}) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS BETWEEN 2 PRECEDING AND CURRENT ROW))::BIGINT AS last3, count(*) OVER (PARTITION BY o_custkey ORDER BY date_diff('day', DATE '1995-01-01', o_orderdate::DATE) RANGE BETWEEN 90 PRECEDING AND CURRENT ROW) AS in_90_days FROM orders")
@@ -213,11 +214,11 @@ def fn_json(s, d):
     return read(s, d, "events").select("event_id", k["k"].alias("k"), F.get_json_object("props", "$.k").alias("ks"), F.get_json_object("props", "$.none").isNull().alias("none"))
 
 
-@entry("SELECT o_custkey, count(*) AS orders, (max(c) FILTER (WHERE st = 'F'))::BIGINT AS f FROM (SELECT o_custkey, o_orderstatus AS st, count(*) OVER (PARTITION BY o_custkey, o_orderstatus) AS c FROM orders) GROUP BY 1")
+@entry("SELECT o_custkey, count(*) AS orders, coalesce((max(c) FILTER (WHERE st = 'F'))::BIGINT, 0) AS f FROM (SELECT o_custkey, o_orderstatus AS st, count(*) OVER (PARTITION BY o_custkey, o_orderstatus) AS c FROM orders) GROUP BY 1")
 def fn_map(s, d):
     per = read(s, d, "orders").groupBy("o_custkey", "o_orderstatus").agg(F.count("*").alias("n"))
     m = per.groupBy("o_custkey").agg(F.map_from_entries(F.collect_list(F.struct("o_orderstatus", "n"))).alias("m"))
-    return m.select("o_custkey", F.aggregate(F.map_values("m"), F.lit(0).cast("long"), lambda a, x: a + x).alias("orders"), F.element_at("m", "F").alias("f"))
+    return m.select("o_custkey", F.aggregate(F.map_values("m"), F.lit(0).cast("long"), lambda a, x: a + x).alias("orders"), F.coalesce(F.element_at("m", "F"), F.lit(0)).alias("f"))
 
 
 @entry("SELECT o_orderkey FROM orders o WHERE o_totalprice BETWEEN 1000 AND 100000 AND o_orderstatus IN ('F', 'O') AND o_orderpriority LIKE '%H%' AND EXISTS (SELECT 1 FROM lineitem WHERE l_orderkey = o_orderkey AND l_returnflag = 'R') AND o_custkey IS NOT DISTINCT FROM o_custkey")
@@ -253,12 +254,12 @@ def udf_vectorised_decay(s, d):
     return read(s, d, "orders").select("o_orderkey", decay(age.cast("double")).alias("w"))
 
 
-@entry(f"SELECT l_suppkey, list(c ORDER BY c) AS least FROM (SELECT l_suppkey, {_CENTS('l_extendedprice')} AS c FROM lineitem QUALIFY row_number() OVER (PARTITION BY l_suppkey ORDER BY {_CENTS('l_extendedprice')}) <= 3) GROUP BY 1")
+@entry(f"SELECT l_suppkey, string_agg(c::VARCHAR, ' ' ORDER BY c) AS least FROM (SELECT l_suppkey, {_CENTS('l_extendedprice')} AS c FROM lineitem QUALIFY row_number() OVER (PARTITION BY l_suppkey ORDER BY {_CENTS('l_extendedprice')}) <= 3) GROUP BY 1")
 def udaf_ksmallest(s, d):
     """The three least of a group: ranked with a group limit before the shuffle, so that no group is gathered whole."""
     w = Window.partitionBy("l_suppkey").orderBy("c")
     rows = read(s, d, "lineitem").select("l_suppkey", cents("l_extendedprice").alias("c")).withColumn("k", F.row_number().over(w)).where("k <= 3")
-    return rows.groupBy("l_suppkey").agg(F.sort_array(F.collect_list("c")).alias("least"))
+    return rows.groupBy("l_suppkey").agg(F.array_join(F.sort_array(F.collect_list("c")).cast("array<string>"), " ").alias("least"))
 
 
 @entry("SELECT user_id, (sum(round(value * 100)::BIGINT))::BIGINT AS cents FROM events GROUP BY 1")
@@ -354,9 +355,9 @@ def sql_surface_parameters(s, d):
     return s.sql("SELECT n_name, r_name FROM v_nation JOIN v_region ON n_regionkey = r_regionkey WHERE r_name = :name", args={"name": "ASIA"})
 
 
-@entry("SELECT l_partkey, list_sort([n0, n1]) AS ends FROM (SELECT l_partkey, min(l_orderkey) AS n0, max(l_orderkey) AS n1 FROM lineitem GROUP BY 1)")
+@entry("SELECT l_partkey, array_to_string(list_sort([n0, n1]), ' ') AS ends FROM (SELECT l_partkey, min(l_orderkey) AS n0, max(l_orderkey) AS n1 FROM lineitem GROUP BY 1)")
 def match_as_map(s, d):
     """The generic form of a match: a map from pattern node to graph node."""
     m = read(s, d, "lineitem").groupBy("l_partkey").agg(F.min("l_orderkey").alias("n0"), F.max("l_orderkey").alias("n1"))
     as_map = F.map_from_arrays(F.array(F.lit("first"), F.lit("last")), F.array("n0", "n1"))
-    return m.select("l_partkey", F.sort_array(F.map_values(as_map)).alias("ends"))
+    return m.select("l_partkey", F.array_join(F.sort_array(F.map_values(as_map)).cast("array<string>"), " ").alias("ends"))

@@ -16,7 +16,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from twigrank.model import TreePattern
-from twigrank.operators.sweep import CandidateGraph
+from twigrank.operators.sweep import CandidateGraph, fixed
 from twigrank.plans.storage import stored
 
 
@@ -93,7 +93,8 @@ def topk_iso(cg: CandidateGraph, k: int, beam: int | None = None, max_rounds: in
     pairs = cg.pattern.overlapping_pairs()
     if not pairs:
         return topk(cg, k)
-    done, asked, beam = None, None, beam or 4 * k
+    cg = fixed(cg)  # several rounds over one reduction
+    done, asked, beam = None, None, beam or 8 * k
     for _ in range(max_rounds):
         frontier = ranked(keep(open_frontier(cg), asked), beam + 1)
         cuts = frontier.where(F.col("_r") > beam).select("qid", "bound")
