@@ -12,9 +12,10 @@ import os
 import re
 import uuid
 import zlib
+from array import array
 from collections.abc import Iterator
 from dataclasses import dataclass
-from itertools import chain
+from itertools import pairwise
 
 import numpy as np
 import pyarrow as pa
@@ -123,6 +124,15 @@ LATIN = r"A-Za-zÀ-ÖØ-öø-ɏ"
 SEGMENT = re.compile(rf"[ \t-\r]*(?:[{LATIN}]+(?=[\0-@\[-`{{-\x7f]|\Z)|[^ \t-\r]+)|[ \t-\r]+")
 
 
+def uneven(text: str) -> bool:
+    """Whether there is other white space than single spaces and single line ends between words."""
+    return text[0] in " \n" or text[-1] in " \n" or any(x in text for x in ("  ", " \n", "\n ", "\n\n", "\t", "\r", "\v", "\f")) or odd(text)
+
+
+def odd(text: str) -> bool:
+    return ODD_SPACE.search(text) is not None
+
+
 class Encoder:
     """Token ids of whole texts by the tokenizers library, with the ids of text segments remembered.
 
@@ -137,48 +147,51 @@ class Encoder:
         from tokenizers import Tokenizer
 
         self.tokenizer, self.remember = Tokenizer.from_file(path), remember
-        self.forget()
-
-    def forget(self) -> None:
-        self.known: dict[str, int] = {}
-        self.flat, self.filled, self.count = np.zeros(1 << 20, dtype=np.uint32), 0, 0
-        self.at = np.zeros(1 << 18, dtype=np.int64)
+        self.code = "H" if self.tokenizer.get_vocab_size() <= 1 << 16 else "I"
+        # the ids of segments, and of words after a space, as packed integers: joined, they are those of a text
+        self.known: dict[str, bytes] = {}
+        self.words: dict[str, bytes] = {}
 
     def learn(self, segments: list[str]) -> None:
-        for found in (self.tokenizer.encode_batch_fast(segments[k : k + 8192], add_special_tokens=False) for k in range(0, len(segments), 8192)):
-            ids = [e.ids for e in found]
-            sizes = np.array([len(x) for x in ids], dtype=np.int64)
-            new = np.fromiter(chain.from_iterable(ids), dtype=np.uint32, count=int(sizes.sum()))
-            while self.filled + len(new) > len(self.flat):
-                self.flat = np.r_[self.flat, np.zeros_like(self.flat)]
-            base = self.count
-            while base + len(ids) + 1 > len(self.at):
-                self.at = np.r_[self.at, np.zeros_like(self.at)]
-            self.flat[self.filled : self.filled + len(new)] = new
-            self.at[base + 1 : base + 1 + len(ids)] = self.filled + np.cumsum(sizes)
-            self.filled += len(new)
-            self.count += len(ids)
-
-    def encode(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
-        """(ids of all texts one after another, number of ids of each)."""
-        if len(self.known) > self.remember:
-            self.forget()
-        known, flat, sizes = self.known, [], []
+        for k in range(0, len(segments), 8192):
+            part = segments[k : k + 8192]
+            found = self.tokenizer.encode_batch_fast(part, add_special_tokens=False)
+            self.known.update((s, array(self.code, e.ids).tobytes()) for s, e in zip(part, found))
+
+    def compose(self, pieces: list[list[str]]) -> list[bytes]:
+        """The ids of pieces that are given as their segments."""
+        new = {s for p in pieces for s in p if s not in self.known}
+        if new:
+            self.learn(list(new))
+        known = self.known
+        return [b"".join([known[s] for s in p]) for p in pieces]
+
+    def encode(self, texts: list[str]) -> list[np.ndarray]:
+        """The ids of each text."""
+        if len(self.known) > self.remember or len(self.words) > self.remember:
+            self.known.clear()
+            self.words.clear()
+        get, flat, ends, firsts, others = self.words.get, [], [0], [], []
         for text in texts:
-            pieces = [text] if ODD_SPACE.search(text) else SEGMENT.findall(text)
-            sizes.append(len(pieces))
-            flat += pieces
-        which = list(map(known.get, flat))
-        if None in which:
-            new = list(dict.fromkeys(s for s, k in zip(flat, which) if k is None))
-            known.update(zip(new, range(self.count, self.count + len(new))))
-            self.learn(new)
-            which = list(map(known.get, flat))
-        which, sizes = np.array(which, dtype=np.int64), np.array(sizes, dtype=np.int64)
-        starts, lengths = self.at[which], self.at[which + 1] - self.at[which]
-        ids = self.flat[np.repeat(starts - np.cumsum(lengths) + lengths, lengths) + np.arange(lengths.sum())]
-        ends = np.r_[0, np.cumsum(lengths)][np.cumsum(sizes)]
-        return ids, np.diff(np.r_[0, ends])
+            first = []
+            if text and uneven(text):
+                first = [text] if odd(text) else SEGMENT.findall(text)
+            elif text:
+                # words as they stand between single spaces, and a line's first word with its line end
+                head, *rest = text.replace("\n", " \n").split(" ")
+                first = SEGMENT.findall(head)
+                flat += rest
+            firsts.append(first)
+            ends.append(len(flat))
+        parts = list(map(get, flat))
+        missing = [i for i, p in enumerate(parts) if p is None]
+        if missing:
+            new = list({flat[i] for i in missing})
+            self.words.update(zip(new, self.compose([SEGMENT.findall(w if w[0] == "\n" else " " + w) for w in new])))
+            for i in missing:
+                parts[i] = get(flat[i])
+        begun = self.compose(firsts)
+        return [np.frombuffer(b"".join([b, *parts[lo:hi]]), dtype=self.code) for b, (lo, hi) in zip(begun, pairwise(ends))]
 
 
 @dataclass(frozen=True)
@@ -204,7 +217,7 @@ def write_tokens(df: DataFrame, path: str, form: TokenFormat) -> None:
         docs: list[int | None] = []
         sizes: list[int] = []
         parts_: list[np.ndarray] = []
-        held = 0
+        held, end = 0, np.array([form.end_id], dtype=encoder.code)
 
         def block() -> pa.RecordBatch:
             nonlocal number, first, docs, sizes, parts_, held
@@ -216,13 +229,11 @@ def write_tokens(df: DataFrame, path: str, form: TokenFormat) -> None:
             return out
 
         for batch in slices(batches, 256):
-            ids, n = encoder.encode([t or "" for t in batch.column(1).to_pylist()])
-            ends = np.cumsum(n)
-            for doc, lo, hi in zip(batch.column(0).to_pylist(), (ends - n).tolist(), ends.tolist()):
+            for doc, ids in zip(batch.column(0).to_pylist(), encoder.encode([t or "" for t in batch.column(1).to_pylist()])):
                 docs.append(doc)
-                sizes.append(hi - lo + 1)
-                parts_ += [ids[lo:hi], np.array([form.end_id], dtype=np.uint32)]
-                held += hi - lo + 1
+                sizes.append(len(ids) + 1)
+                parts_ += [ids, end]
+                held += len(ids) + 1
                 if held >= form.block_ids:
                     yield block()
         if docs:
