@@ -19,7 +19,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from twigrank.llm.common import slices
+from twigrank.llm.common import materialize, slices
 
 ORDER = 4
 LETTERS = re.compile(r"[^\W\d_]+")
@@ -27,6 +27,10 @@ START, END = "\x02", "\x03"
 #: Letter runs whose scores a Python worker remembers.
 REMEMBER = 300_000
 UNKNOWN = "und"
+#: Parts of a language that are ranked apart when its training documents are chosen.
+SALTS = 64
+#: Chosen ids, over all languages, up to which they are broadcast; beyond it they are shuffled.
+BROADCAST_ROWS = 500_000
 
 
 def fold(doc_id: F.Column) -> F.Column:
@@ -178,13 +182,14 @@ def fit(docs: DataFrame, max_docs: int = 1200, calibration: int = 300, holdout:
     calibrate on at most `calibration` others of each. Rows with null text or lang are ignored. Without any, no language
     is learned and every text is `und`."""
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("lang").cast("string").alias("lang"), F.col("text").cast("string").alias("text"))
-    by_hash = Window.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id")
-    chosen = (
-        rows.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & F.coalesce(fold(F.col("doc_id")) != holdout, F.lit(False)))
-        .select("doc_id", "lang", F.row_number().over(by_hash).alias("k"))
-        .where(F.col("k") <= max_docs + calibration)
-        .select("doc_id", "lang", (F.col("k") > max_docs).alias("calibrate"))
-    )
+    known = rows.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & F.coalesce(fold(F.col("doc_id")) != holdout, F.lit(False)))
+    # the first of each language are among the first of its salted parts, so that no task ranks a whole language
+    most, hashed = max_docs + calibration, [F.xxhash64("doc_id"), F.col("doc_id")]
+    parts = known.select("doc_id", "lang", F.pmod(F.xxhash64("doc_id", F.lit(1)), F.lit(SALTS)).alias("salt"))
+    parts = parts.withColumn("k", F.row_number().over(Window.partitionBy("lang", "salt").orderBy(*hashed))).where(F.col("k") <= most)
+    chosen = parts.select("doc_id", "lang", F.row_number().over(Window.partitionBy("lang").orderBy(*hashed)).alias("k")).where(F.col("k") <= most)
+    chosen = materialize(chosen.groupBy("doc_id", "lang").agg((F.min("k") > max_docs).alias("calibrate")))
+    chosen = F.broadcast(chosen) if chosen.count() <= BROADCAST_ROWS else chosen
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen: dict[str, Counter] = defaultdict(Counter)
