@@ -24,6 +24,8 @@ from pyspark.sql import functions as F
 from twigrank.llm.common import blocks_of_pairs, complete_groups, connected_components, materialize, slices
 
 MIX = (np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F), np.uint64(0x165667B19E3779F9))
+#: Sets of copies that hold more than one in so many rows are joined by broadcast.
+HOT_SETS = 2000
 
 
 @dataclass(frozen=True)
@@ -238,6 +240,18 @@ def confirmed_links(docs: DataFrame, clusters: DataFrame, config: DedupConfig) -
     return dealt.repartition("pair").sortWithinPartitions("pair").mapInArrow(run, "a long, b long")
 
 
+def copy_links(known: DataFrame, rep: DataFrame, n_rows: int) -> DataFrame:
+    """(a, b): a document and the representative of its set, where they differ. rep: d1, d2, rep, n (rows of the set).
+
+    Sets of more than one in HOT_SETS of all rows, which are fewer than HOT_SETS, come by broadcast and the rest by shuffle,
+    so that no task gets a large group of copies."""
+    copies = rep.where("n > 1")
+    is_hot = F.col("n") > n_rows / HOT_SETS
+    rows = known.select("doc_id", "d1", "d2").join(F.broadcast(copies.where(is_hot).select("d1", "d2", "rep")), ["d1", "d2"], "left")
+    rest = rows.where("rep is null").drop("rep").join(copies.where(~is_hot).select("d1", "d2", "rep"), ["d1", "d2"])
+    return rows.where("rep is not null").unionByName(rest).where("doc_id <> rep").select(F.col("doc_id").alias("a"), F.col("rep").alias("b"))
+
+
 def near_duplicates(df: DataFrame, config: DedupConfig = DedupConfig()) -> DataFrame:
     """doc_id, n_shingles, component_id (smallest doc_id reachable over links), kept (doc_id = component_id), one row for
     each row of df.
@@ -251,10 +265,10 @@ def near_duplicates(df: DataFrame, config: DedupConfig = DedupConfig()) -> DataF
     sig = materialize(signatures(docs, config))
     known = sig.where("doc_id is not null and n_shingles > 0")
     # one representative for each distinct set; small columns only, summed before the shuffle
-    rep = known.groupBy("d1", "d2").agg(F.min("doc_id").alias("rep"), F.max("n_shingles").alias("n_shingles"))
-    reps = known.join(rep.select("d1", "d2", "rep"), ["d1", "d2"]).where("doc_id = rep").dropDuplicates(["doc_id", "d1", "d2"])
+    rep = materialize(known.groupBy("d1", "d2").agg(F.min("doc_id").alias("rep"), F.count("*").alias("n")))
+    reps = known.join(rep.select("d1", "d2", F.col("rep").alias("doc_id")), ["doc_id", "d1", "d2"]).dropDuplicates(["doc_id", "d1", "d2"])
     reps = materialize(reps.select("doc_id", "n_shingles", "bands", "short"))
-    same = known.join(rep.select("d1", "d2", "rep"), ["d1", "d2"]).where("doc_id <> rep").select(F.col("doc_id").alias("a"), F.col("rep").alias("b"))
+    same = copy_links(known, rep, sig.count())
     found = candidate_links(reps, config)
     clusters = connected_components(found)
     sizes = reps.groupBy("doc_id").agg(F.max("n_shingles").alias("n_shingles")).withColumnRenamed("doc_id", "node")
