@@ -5,6 +5,7 @@ import pytest
 
 import corpus_pipeline
 from twigrank.llm import chat_format, decontaminate, language_id, mixing, near_dedup, pii, quality_classifier, quality_rules, token_output, url_filters
+from twigrank.llm.common import connected_components
 from twigrank.llm.queries import URL_RULES, vocabulary
 
 DOC = "doc_id long, text string, lang string, source string, n_chars long, pair string, band long, row long, kept boolean"
@@ -114,3 +115,21 @@ def test_stages_keep_the_columns(spark, docs):
     base = docs.select("doc_id", "text", "lang", "source", "n_chars")
     for name, stage in corpus_pipeline.STAGES[1:-1]:
         assert stage(spark, base, "/root/testdata/sf0.001").columns == base.columns, name
+
+
+def test_components_equal_a_search(spark):
+    rng = np.random.default_rng(3)
+    chain = [(k, k + 1) for k in range(1000, 1040)]
+    edges = [tuple(e) for e in rng.integers(0, 90, (60, 2)).tolist()] + chain + [(2000, k) for k in range(2001, 2050)]
+    parent = {n: n for e in edges for n in e}
+
+    def root(n):
+        return n if parent[n] == n else root(parent[n])
+
+    for x, y in edges:
+        low, high = sorted((root(x), root(y)))
+        parent[high] = low
+    got = connected_components(spark.createDataFrame(edges, "a long, b long")).collect()
+    touched = {n for x, y in edges if x != y for n in (x, y)}
+    assert sorted((r["node"], r["component"]) for r in got) == sorted((n, root(n)) for n in touched)
+    assert connected_components(spark.createDataFrame([], "a long, b long")).count() == 0

@@ -78,14 +78,18 @@ def complete_groups(batches: Iterable[pa.RecordBatch], key: str) -> Iterator[pa.
 def connected_components(edges: DataFrame, a: str = "a", b: str = "b", max_rounds: int = 60) -> DataFrame:
     """(node, component): component is the smallest node reachable. Nodes without an edge are absent.
 
-    Alternates star contractions towards larger and towards smaller neighbours; every round is two joins and aggregates
-    and one checkpoint, and the number of rounds grows with the logarithm of the longest path.
+    Alternates star contractions towards larger and towards smaller neighbours until every component is a star around its
+    smallest node; every round is two joins and aggregates and one checkpoint, and the number of rounds grows with the
+    logarithm of the longest path.
     """
     current = checkpointed(
         edges.select(F.greatest(a, b).alias("u"), F.least(a, b).alias("v")).where("u <> v").distinct()
     )
-    seen = None
     for _ in range(max_rounds):
+        ends = current.select(F.col("u").alias("node"), F.lit(1).alias("up"), F.lit(0).alias("down"))
+        ends = ends.union(current.select("v", F.lit(0), F.lit(1))).groupBy("node").agg(F.sum("up").alias("up"), F.sum("down").alias("down"))
+        if not ends.where("up > 1 or (up = 1 and down > 0)").count():
+            break
         both = current.union(current.select(F.col("v").alias("u"), F.col("u").alias("v")))
         low = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
         large = both.join(low, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
@@ -98,10 +102,6 @@ def connected_components(edges: DataFrame, a: str = "a", b: str = "b", max_round
             .distinct()
         )
         current = checkpointed(small)
-        now = current.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
-        if now == seen:
-            break
-        seen = now
     else:
         raise RuntimeError("connected_components did not settle")
     nodes = current.select(F.col("u").alias("node"), F.col("v").alias("component"))
