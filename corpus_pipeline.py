@@ -47,8 +47,8 @@ STAGES = [
     ("token_id_output", write_token_ids),
 ]
 
-#: No SQL: the classifier, the mix's draws and the tokenizer are beyond it. tests/llm hold
-#: operators against brute force, and stages 2 to 4 to their columns only; the whole is not yet held against one.
+#: No SQL: the classifier, the mix's draws and the tokenizer are beyond it. tests/llm/test_llm_pipeline.py holds each stage of
+#: one run() against brute force on what the stage was given.
 ORACLE_SQL = None
 
 
