@@ -162,7 +162,8 @@ def dictionary(docs: DataFrame, key: str, text_col: str = "text") -> DataFrame:
     for _ in range(MAX_ATTEMPTS):
         first = table.groupBy("type", "core").agg(F.min("entity").alias("first"), F.count("*").alias("n")).where("n > 1")
         twice = table.join(first, ["type", "core"]).where("entity <> first").select("type", "entity")
-        real = table.join(table.select("type", F.col("entity").alias("core")), ["type", "core"], "left_semi").select("type", "entity")
+        folded = F.when(F.col("type") == "name", F.lower("core")).otherwise(F.col("core"))  # entities of names are in lower case
+        real = table.withColumn("same", folded).join(table.select("type", F.col("entity").alias("same")), ["type", "same"], "left_semi").select("type", "entity")
         bad = materialize(twice.union(real).distinct())
         if bad.isEmpty():
             return table
