@@ -1,5 +1,9 @@
 """Surrogates of titled names and of formats with few values, on small fixtures."""
 
+import itertools
+import re
+import string
+
 from twigrank.llm import pii
 
 KEY = "k"
@@ -16,3 +20,17 @@ def test_no_surrogate_name_is_a_real_one(spark):
     assert all(old != new and old.split()[0] == new.split()[0] for old, new in zip(olds, reals))
     new = replaced(spark, olds + reals)
     assert not set(new) & set(olds + reals) and len(set(new)) == len(new)
+
+
+def test_full_formats_are_settled_exactly(spark):
+    """2,100 short names where two syllables give 2,025, and the 26 addresses of one letter at one domain."""
+    words = ["".join(w).capitalize() for w in itertools.islice(itertools.product(string.ascii_lowercase, repeat=3), 2100)]
+    olds = [f"Mr {w}" for w in words] + [f"Mr {words[7]} {words[k]}" for k in range(40)] + [f"Mrs {words[k]} {words[9]}" for k in range(40)] + [f"{c}@example.com" for c in string.ascii_lowercase]
+    news = replaced(spark, olds)
+    assert len(set(news)) == len(olds) and not set(news) & set(olds)
+    assert len({m[1] for m in map(re.compile(r"^[a-z]+@(\w{7}\.com)$").match, news[-26:])}) == 1
+    family = dict(zip(words, (n.split()[1] for n in news[:2100])))
+    assert [n.split()[-1] for n in news[2100:2140]] == [family[words[k]] for k in range(40)]
+    assert {n.split()[-1] for n in news[2140:2180]} == {family[words[9]]}
+    assert len({n.split()[1] for n in news[2100:2140]}) == 1 and all(n.split()[1].endswith("a") for n in news[2140:2180])
+    assert not {w.lower() for w in family.values()} & {w.lower() for w in words}
