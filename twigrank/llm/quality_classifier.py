@@ -63,14 +63,14 @@ class OrdinalModel:
         return 1 / (1 + np.exp(-np.clip(scores[:, None] - self.thresholds[None, :], -40, 40)))
 
 
-def fit_ordinal(rows: list[np.ndarray], grades: np.ndarray, n_grades: int = 3, sigmas: float = 4.5, rounds: int = 200, least_share: float = 0.01) -> OrdinalModel:
+def fit_ordinal(rows: list[np.ndarray], grades: np.ndarray, n_grades: int = 3, sigmas: float = 4.5, rounds: int = 200, least_texts: int = 5) -> OrdinalModel:
     """Accelerated proximal gradient on the mean cumulative-link likelihood; rows hold the buckets of each text.
 
     A feature of share p of the texts has the value p ** -0.5, so that the gradient of one that tells nothing scatters by
     about std / sqrt(texts) whatever p is, std being that of a text's own gradient; the L1 penalty is `sigmas` times that.
     It only selects: the features it leaves
-    are fitted again under a slight ridge. Features of fewer than `least_share` of the texts (5 at least) are left out,
-    since a group of copies shares both its words and its raters' errors. With no rows, or one grade only, all weights are
+    are fitted again under a slight ridge. Features of fewer than `least_texts` texts are left out, however many texts
+    there are: words that tell a rare grade are rare themselves. With no rows, or one grade only, all weights are
     0 and the thresholds give the (smoothed) shares of the grades.
     """
     share = np.cumsum(np.bincount(grades, minlength=n_grades) + 0.5)[:-1] / (len(grades) + 0.5 * n_grades)
@@ -80,7 +80,7 @@ def fit_ordinal(rows: list[np.ndarray], grades: np.ndarray, n_grades: int = 3, s
     used, column = np.unique(np.concatenate(rows), return_inverse=True)
     owner, n, d = np.repeat(np.arange(len(rows)), [len(r) for r in rows]), len(rows), len(used)
     often = np.bincount(column, minlength=d)
-    keep = (often >= max(5, least_share * n))[column]
+    keep = (often >= least_texts)[column]
     column, owner = column[keep], owner[keep]
     scale = np.sqrt(n / np.maximum(often, 1))
     value = scale[column]
