@@ -61,9 +61,20 @@ _PER_UNIT = "l_extendedprice / l_quantity"
 
 @entry(f"WITH b AS (SELECT p_partkey AS band, floor(p_retailprice) AS lo, floor(p_retailprice) + 2 AS hi FROM part WHERE p_partkey % 40 = 0) SELECT band, count(*) AS lines FROM b JOIN (SELECT {_PER_UNIT} AS u FROM lineitem) ON u >= lo AND u < hi GROUP BY band")
 def join_range(s, d):
-    """Unit prices within price bands: an equi-join on buckets of the price that a band can touch, then the range."""
+    """Unit prices within the price bands of one part of 40."""
+    return _bands(s, d, read(s, d, "part").where("p_partkey % 40 = 0"))
+
+
+@entry(f"WITH b AS (SELECT p_partkey AS band, floor(p_retailprice) AS lo, floor(p_retailprice) + 2 AS hi FROM part) SELECT band, count(*) AS lines FROM b JOIN (SELECT {_PER_UNIT} AS u FROM lineitem) ON u >= lo AND u < hi GROUP BY band")
+def join_range_all(s, d):
+    """Unit prices within the price bands of all parts."""
+    return _bands(s, d, read(s, d, "part"))
+
+
+def _bands(s, d, parts):
+    """An equi-join on buckets of the price that a band can touch, then the range."""
     width = 10
-    bands = read(s, d, "part").where("p_partkey % 40 = 0").select(F.col("p_partkey").alias("band"), F.floor("p_retailprice").alias("lo"), (F.floor("p_retailprice") + 2).alias("hi"))
+    bands = parts.select(F.col("p_partkey").alias("band"), F.floor("p_retailprice").alias("lo"), (F.floor("p_retailprice") + 2).alias("hi"))
     bands = bands.withColumn("bucket", F.explode(F.sequence(F.floor(F.col("lo") / width), F.floor(F.col("hi") / width))))
     u = read(s, d, "lineitem").select((F.col("l_extendedprice") / F.col("l_quantity")).alias("u"))
     return u.withColumn("bucket", F.floor(F.col("u") / width)).join(bands, "bucket").where("u >= lo and u < hi").groupBy("band").agg(F.count("*").alias("lines"))
@@ -294,8 +305,18 @@ def khop_recursive(s, d):
 @entry("SELECT a.n AS node, b.m AS near FROM (SELECT DISTINCT o_custkey AS n, l_partkey AS p FROM orders JOIN lineitem ON o_orderkey = l_orderkey WHERE o_custkey < 20) a JOIN (SELECT DISTINCT o_custkey AS m, l_partkey AS p FROM orders JOIN lineitem ON o_orderkey = l_orderkey) b USING (p) WHERE a.n <> b.m GROUP BY ALL")
 def khop_2(s, d):
     """Customers that share a part with one of twenty customers."""
+    return _sharing(s, d, "o_custkey < 20")
+
+
+@entry("SELECT a.n AS node, b.m AS near FROM (SELECT DISTINCT o_custkey AS n, l_partkey AS p FROM orders JOIN lineitem ON o_orderkey = l_orderkey) a JOIN (SELECT DISTINCT o_custkey AS m, l_partkey AS p FROM orders JOIN lineitem ON o_orderkey = l_orderkey) b USING (p) WHERE a.n <> b.m GROUP BY ALL")
+def khop_2_all(s, d):
+    """All pairs of customers that share a part."""
+    return _sharing(s, d, "true")
+
+
+def _sharing(s, d, who):
     has = read(s, d, "orders").join(read(s, d, "lineitem"), F.col("o_orderkey") == F.col("l_orderkey")).select("o_custkey", "l_partkey").distinct()
-    few = has.where("o_custkey < 20").select(F.col("o_custkey").alias("node"), "l_partkey")
+    few = has.where(who).select(F.col("o_custkey").alias("node"), "l_partkey")
     return few.join(has.select(F.col("o_custkey").alias("near"), "l_partkey"), "l_partkey").where("node <> near").select("node", "near").distinct()
 
 
@@ -322,15 +343,19 @@ def components(s, d):
 _MATCHES = "SELECT o_orderkey, o_custkey, o_orderstatus FROM orders WHERE o_orderkey % 10 = 0"
 
 
-def _round_trip(s: SparkSession, d: str, form: str) -> DataFrame:
-    rows = read(s, d, "orders").where("o_orderkey % 10 = 0").select("o_orderkey", "o_custkey", "o_orderstatus")
+_ALL_MATCHES = "SELECT o_orderkey, o_custkey, o_orderstatus FROM orders"
+
+
+def _round_trip(s: SparkSession, d: str, form: str, which: str) -> DataFrame:
+    rows = read(s, d, "orders").where(which).select("o_orderkey", "o_custkey", "o_orderstatus")
     path = f"{shared_dir(s)}/{form}-{uuid.uuid4().hex}"
     rows.write.format(form).option("header", True).save(path)
     return s.read.schema(rows.schema).format(form).option("header", True).load(path)
 
 
 for _form in ("parquet", "json", "csv", "orc"):
-    ENTRIES[f"sink_roundtrip_{_form}"] = (lambda s, d, form=_form: _round_trip(s, d, form), _MATCHES)
+    ENTRIES[f"sink_roundtrip_{_form}"] = (lambda s, d, form=_form: _round_trip(s, d, form, "o_orderkey % 10 = 0"), _MATCHES)
+    ENTRIES[f"sink_roundtrip_{_form}_all"] = (lambda s, d, form=_form: _round_trip(s, d, form, "true"), _ALL_MATCHES)
 
 
 @entry("SELECT o_orderkey, o_orderstatus FROM orders WHERE o_orderstatus = 'F'")

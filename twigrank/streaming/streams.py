@@ -34,11 +34,10 @@ def _folder(app: str, spark: SparkSession, sf_dir: str) -> str:
     """One file for each day of arrival, written in that order (file sources read by time of change)."""
     path = f"{shared_dir(spark)}/events-{uuid.uuid4().hex}"
     rows = stored(arriving(spark, sf_dir).repartition(1, "arrival"), "arrival")
-    for day in range(35):
+    for (day,) in sorted(rows.select("arrival").distinct().collect()):
         part = rows.where(F.col("arrival") == day)
-        if not part.isEmpty():
-            part.select(*[c.split()[0] for c in SCHEMA.split(", ")]).coalesce(1).write.mode("append").parquet(path)
-            time.sleep(0.02)
+        part.select(*[c.split()[0] for c in SCHEMA.split(", ")]).coalesce(1).write.mode("append").parquet(path)
+        time.sleep(0.02)
     return path
 
 
@@ -64,6 +63,11 @@ def each_batch(df: DataFrame, work) -> None:
 _SEEN = """WITH e AS (SELECT * FROM events WHERE event_id % 20 <> 0), f AS (SELECT date_trunc('millisecond', max(ts)) - INTERVAL 1 DAY AS last FROM e)"""
 
 
+#: The same of all events. Late ones cross the end of one batch at most, and a batch drops only what an earlier one has emitted
+#: by the watermark of those before it, so that none is lost.
+_ALL = """WITH e AS (SELECT * FROM events), f AS (SELECT date_trunc('millisecond', max(ts)) - INTERVAL 1 DAY AS last FROM e)"""
+
+
 def entry(sql: str | None = None):
     def keep(f):
         ENTRIES[f.__name__] = (f, sql)
@@ -84,6 +88,20 @@ def stream_sliding(s, d):
     return drained(w.agg(F.count("*").alias("n")).select(F.col("window.start").alias("start"), "n"))
 
 
+@entry(f"{_ALL}, t AS (SELECT time_bucket(INTERVAL 1 HOUR, ts) AS h, value FROM e) SELECT h AS start, count(*) AS n, min(round(value * 100)::BIGINT) AS least FROM t, f WHERE h + INTERVAL 1 HOUR <= last GROUP BY h")
+def stream_tumbling_all(s, d):
+    """The hourly windows over all events, late ones too."""
+    w = edges(s, d).withWatermark("ts", DELAY).groupBy(F.window("ts", "1 hour"))
+    return drained(w.agg(F.count("*").alias("n"), F.min(F.round(F.col("value") * 100).cast("long")).alias("least")).select(F.col("window.start").alias("start"), "n", "least"))
+
+
+@entry(f"{_ALL}, t AS (SELECT time_bucket(INTERVAL 30 MINUTE, ts) - k * INTERVAL 30 MINUTE AS h FROM e, (SELECT unnest([0, 1]) AS k)) SELECT h AS start, count(*) AS n FROM t, f WHERE h + INTERVAL 1 HOUR <= last GROUP BY h")
+def stream_sliding_all(s, d):
+    """The sliding windows over all events, late ones too."""
+    w = edges(s, d).withWatermark("ts", DELAY).groupBy(F.window("ts", "1 hour", "30 minutes"))
+    return drained(w.agg(F.count("*").alias("n")).select(F.col("window.start").alias("start"), "n"))
+
+
 @entry()
 def stream_session(s, d):
     """Sessions of a user with gaps under two hours."""
@@ -110,6 +128,20 @@ def stream_dedup(s, d):
     return drained(twice.dropDuplicatesWithinWatermark(["event_id"]).select("event_id"))
 
 
+@entry("SELECT event_id FROM events")
+def stream_dedup_all(s, d):
+    """All events come twice within the watermark's delay, late ones too, once each."""
+    twice = edges(s, d).withColumn("copy", F.explode(F.array(F.lit(0), F.lit(1)))).withWatermark("ts", DELAY)
+    return drained(twice.dropDuplicatesWithinWatermark(["event_id"]).select("event_id"))
+
+
+@entry("SELECT event_id, user_id FROM events")
+def stream_static_join_all(s, d):
+    """The stream against all users."""
+    users = read(s, d, "events").select("user_id").distinct()
+    return drained(edges(s, d).join(users, "user_id").select("event_id", "user_id"))
+
+
 @entry("SELECT event_id, user_id FROM events WHERE user_id % 10 = 0")
 def stream_static_join(s, d):
     """The stream against a fixed set of users."""
@@ -120,7 +152,16 @@ def stream_static_join(s, d):
 @entry("SELECT p.event_id AS purchase, v.event_id AS viewed FROM events p JOIN events v ON p.user_id = v.user_id AND p.event_type = 'purchase' AND v.event_type = 'view' AND v.ts <= p.ts AND v.ts >= p.ts - INTERVAL 10 MINUTE WHERE p.event_id % 20 <> 0 AND v.event_id % 20 <> 0")
 def stream_interval_join(s, d):
     """Two-edge patterns within ten minutes, both sides watermarked."""
-    e = edges(s, d).where("event_id % 20 <> 0")
+    return _viewed_before(edges(s, d).where("event_id % 20 <> 0"))
+
+
+@entry("SELECT p.event_id AS purchase, v.event_id AS viewed FROM events p JOIN events v ON p.user_id = v.user_id AND p.event_type = 'purchase' AND v.event_type = 'view' AND v.ts <= p.ts AND v.ts >= p.ts - INTERVAL 10 MINUTE")
+def stream_interval_join_all(s, d):
+    """The same over all events, late ones too."""
+    return _viewed_before(edges(s, d))
+
+
+def _viewed_before(e):
     p = e.where("event_type = 'purchase'").select(F.col("event_id").alias("purchase"), F.col("user_id").alias("pu"), F.col("ts").alias("pts")).withWatermark("pts", DELAY)
     v = e.where("event_type = 'view'").select(F.col("event_id").alias("viewed"), F.col("user_id").alias("vu"), F.col("ts").alias("vts")).withWatermark("vts", DELAY)
     return drained(p.join(v, F.expr("pu = vu and vts <= pts and vts >= pts - interval 10 minutes")).select("purchase", "viewed"))
