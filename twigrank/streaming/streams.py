@@ -210,13 +210,25 @@ def _topk_twin() -> str:
 def stream_topk(s, d):
     """Continuously kept five lightest matches of 60 star queries: each batch merges its edges and searches again for the
     queries of which a terminal has new edges; the others keep their answers."""
+    return _kept_best(s, d, 60)
+
+
+@entry()
+def stream_topk_all(s, d):
+    """The same of the whole batch of queries."""
+    from twigrank.plans import workloads
+
+    return _kept_best(s, d, workloads.BATCH)
+
+
+def _kept_best(s, d, size):
     from twigrank.operators import search
     from twigrank.operators.index import GraphIndex
     from twigrank.operators.sweep import sweep_up
     from twigrank.plans import workloads
 
     p = workloads.pattern("activity", "T3")
-    bindings = stored(workloads.context(s, d, "activity").bindings(p, 60))
+    bindings = stored(workloads.context(s, d, "activity").bindings(p, size))
     merged, kept = Merged(), {}
 
     def step(batch: DataFrame, number: int) -> None:
