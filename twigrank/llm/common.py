@@ -8,14 +8,17 @@ from collections.abc import Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute  # noqa: F401
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder every executor can reach: spark.checkpoint.dir, or a local one of ours where it is unset (tests)."""
+    """The folder every executor can reach: spark.checkpoint.dir, or one of ours where it is unset and all runs in one process (tests)."""
     folder = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not folder:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors reach")
         folder = tempfile.mkdtemp(prefix="twigrank-")
         spark.sparkContext.setCheckpointDir(folder)
     return folder
@@ -40,6 +43,22 @@ def slices(batches: Iterable[pa.RecordBatch], rows: int = 512) -> Iterator[pa.Re
             yield batch.slice(at, rows)
 
 
+def by_bytes(batches: Iterable[pa.RecordBatch], text: str, limit: int = 8 << 20, rows: int = 512) -> Iterator[pa.RecordBatch]:
+    """The same rows in record batches of about `limit` bytes of column `text`, joined or cut from what comes."""
+    held: list[pa.RecordBatch] = []
+    size = 0
+    for part in slices(batches, rows):
+        held.append(part)
+        lengths = pa.compute.sum(pa.compute.binary_length(part.column(text))).as_py() or 0
+        size += lengths + part.num_rows
+        if size >= limit:
+            yield pa.Table.from_batches(held).combine_chunks().to_batches()[0]
+            held, size = [], 0
+    if held:
+        merged = pa.Table.from_batches(held).combine_chunks().to_batches()
+        yield from merged[:1]
+
+
 def blocks_of_pairs(df: DataFrame, key: str, row: str, parts: str = "n_parts") -> DataFrame:
     """Deal the rows of each group into `parts` blocks and give each pair of blocks (i <= j) a group of its own.
 
@@ -53,6 +72,38 @@ def blocks_of_pairs(df: DataFrame, key: str, row: str, parts: str = "n_parts") -
     return wide.withColumn("pair", F.concat_ws("/", F.col(key).cast("string"), low, high)).drop("_mine", "_other")
 
 
+#: Keys that hold more than one in so many rows are joined by broadcast: there are fewer of them than this.
+HOT_KEYS = 2000
+#: Bits of `maybe_in`'s filter: at most an eighth of a megabyte of rows of eight bytes.
+FILTER_BITS = 1 << 25
+
+
+def join_per_key(rows: DataFrame, per_key: DataFrame, key: str | list[str], n_rows: int, count: str = "n") -> DataFrame:
+    """Inner join of rows with per_key (a row for each key; `count`, the key's number of rows, is dropped). Keys with more
+    than one in HOT_KEYS of all n_rows come by broadcast and the rest by shuffle, so that no task gets a hot key."""
+    is_hot = F.col(count) > n_rows / HOT_KEYS
+    few = F.broadcast(per_key.where(is_hot).drop(count))
+    most = per_key.where(~is_hot).drop(count)
+    rest = rows.join(few.select(key), key, "left_anti")
+    return rows.join(few, key).unionByName(rest.join(most, key))
+
+
+def mark_in(rows: DataFrame, key: str, wanted: DataFrame, name: str) -> DataFrame:
+    """rows with a boolean column: true where the key (long, maybe null) is in wanted (column of the same name), and for a
+    few others. A filter of FILTER_BITS bits, broadcast as words of 64."""
+    place = F.pmod(F.xxhash64(key), F.lit(FILTER_BITS))
+    word, bit = F.shiftright(place, 6), F.expr(f"shiftleft(1L, cast(pmod(xxhash64({key}), {FILTER_BITS}L) & 63 as int))")
+    filled = wanted.select(word.alias("_word"), bit.alias("_bit")).groupBy("_word").agg(F.bit_or("_bit").alias("_bits"))
+    marked = rows.withColumn("_word", word).join(F.broadcast(filled), "_word", "left")
+    return marked.select(*rows.columns, F.coalesce(F.col("_bits").bitwiseAND(bit) != 0, F.lit(False)).alias(name))
+
+
+def maybe_in(rows: DataFrame, key: str, wanted: DataFrame) -> DataFrame:
+    """The rows whose key is in wanted, and a few others, so that rows nobody wants are not shuffled. An exact join must
+    follow."""
+    return mark_in(rows, key, wanted, "_maybe").where("_maybe").select(rows.columns)
+
+
 def complete_groups(batches: Iterable[pa.RecordBatch], key: str) -> Iterator[pa.Table]:
     """Tables that hold whole groups each, from batches in which equal keys stand together."""
     carry: list[pa.RecordBatch] = []
@@ -80,7 +131,7 @@ def connected_components(edges: DataFrame, a: str = "a", b: str = "b", max_round
 
     Alternates star contractions towards larger and towards smaller neighbours until every component is a star around its
     smallest node; every round is two joins and aggregates and one checkpoint, and the number of rounds grows with the
-    logarithm of the longest path.
+    logarithm of the longest path. Stars with many ends, as large groups of copies give, are joined by broadcast.
     """
     current = checkpointed(
         edges.select(F.greatest(a, b).alias("u"), F.least(a, b).alias("v")).where("u <> v").distinct()
@@ -88,20 +139,15 @@ def connected_components(edges: DataFrame, a: str = "a", b: str = "b", max_round
     for _ in range(max_rounds):
         ends = current.select(F.col("u").alias("node"), F.lit(1).alias("up"), F.lit(0).alias("down"))
         ends = ends.union(current.select("v", F.lit(0), F.lit(1))).groupBy("node").agg(F.sum("up").alias("up"), F.sum("down").alias("down"))
-        if not ends.where("up > 1 or (up = 1 and down > 0)").count():
+        state = ends.agg(F.coalesce(F.sum("up"), F.lit(0)), F.count_if(F.expr("up > 1 or (up = 1 and down > 0)"))).first()
+        if not state[1]:
             break
         both = current.union(current.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        low = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-        large = both.join(low, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
-        least = large.groupBy("u").agg(F.min("v").alias("m"))
-        small = (
-            large.join(least, "u")
-            .select(F.col("v").alias("u"), F.col("m").alias("v"))
-            .where("u <> v")
-            .union(least.select("u", F.col("m").alias("v")))
-            .distinct()
-        )
-        current = checkpointed(small)
+        low = both.groupBy("u").agg(F.min("v").alias("m"), F.count("*").alias("n")).select("u", F.least("u", "m").alias("m"), "n")
+        large = checkpointed(join_per_key(both, low, "u", 2 * state[0]).where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct())
+        least = large.groupBy("u").agg(F.min("v").alias("m"), F.count("*").alias("n"))
+        small = join_per_key(large, least, "u", state[0]).select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v")
+        current = checkpointed(small.union(least.select("u", F.col("m").alias("v"))).distinct())
     else:
         raise RuntimeError("connected_components did not settle")
     nodes = current.select(F.col("u").alias("node"), F.col("v").alias("component"))

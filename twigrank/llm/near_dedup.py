@@ -5,7 +5,8 @@
    are bins, bin j takes the least hash of a round of its own, so every coordinate fills whatever the set's size. Each
    coordinate agrees between two texts with their Jaccard similarity, and agreement is concentrated.
 2. Texts with equal sets collapse into one. Bands of coordinates deal the rest into buckets; in a bucket, texts whose short
-   sketches agree in half the places are linked into candidate clusters (a spanning forest, never all pairs).
+   sketches agree in half the places are linked into candidate clusters (a spanning forest, never all pairs). Sketches are
+   sent only for buckets with two members or more; a bucket with thousands is a star around its first member.
 3. In each candidate cluster the links are confirmed on full sets by an inverted index of the cluster's shingles.
 """
 
@@ -21,11 +22,9 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from twigrank.llm.common import blocks_of_pairs, complete_groups, connected_components, materialize, slices
+from twigrank.llm.common import blocks_of_pairs, complete_groups, connected_components, join_per_key, materialize, maybe_in, slices
 
 MIX = (np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F), np.uint64(0x165667B19E3779F9))
-#: Sets of copies that hold more than one in so many rows are joined by broadcast.
-HOT_SETS = 2000
 
 
 @dataclass(frozen=True)
@@ -40,8 +39,8 @@ class DedupConfig:
     bands: int = 25
     short: int = 48  # coordinates, a byte each, that the bucket step compares
     short_agree: float = 0.45
-    bucket_rows: int = 100_000  # of a bucket in one task; larger ones go by pairs of blocks
-    cluster_shingles: int = 8_000_000  # likewise of a cluster
+    bucket_rows: int = 2000  # larger buckets are one candidate cluster each, without a look at their sketches
+    cluster_shingles: int = 8_000_000  # of a cluster in one task; larger ones go by pairs of blocks
 
     def least_set(self) -> int:
         """Smaller sets can only be linked to equal ones."""
@@ -179,12 +178,16 @@ def signatures(df: DataFrame, config: DedupConfig) -> DataFrame:
 
 
 def candidate_links(reps: DataFrame, config: DedupConfig) -> DataFrame:
-    """(a, b): spanning links of the members of each bucket with near short sketches."""
-    rows = reps.where("bands is not null").select("doc_id", "short", F.explode("bands").alias("band"))
-    hot = rows.groupBy("band").count().where(F.col("count") > config.bucket_rows)
-    hot = hot.select("band", F.ceil(F.col("count") / config.bucket_rows).cast("long").alias("n_parts"))
-    dealt = blocks_of_pairs(rows.join(hot, "band", "left").withColumn("n_parts", F.coalesce("n_parts", F.lit(1))), "band", "doc_id")
-    dealt = dealt.select(F.xxhash64("pair").alias("pair"), "doc_id", "short")
+    """(a, b): spanning links of the members of each bucket with near short sketches. reps: a row for each doc_id and set."""
+    # rows that share a doc_id have sets, and thus sketches, of their own
+    known = reps.where("bands is not null").withColumn("set", F.pmod("d1", F.lit(1 << 31)).cast("int"))
+    rows = known.select("doc_id", "set", F.explode("bands").alias("band"))
+    shared = materialize(rows.groupBy("band").agg(F.count("*").alias("n"), F.min("doc_id").alias("lead")).where("n > 1"))
+    n_rows = shared.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+    met = materialize(join_per_key(rows, shared.withColumn("large", F.col("n") > config.bucket_rows), "band", n_rows))
+    stars = met.where("large").select(F.col("doc_id").alias("a"), F.col("lead").alias("b"))
+    few = met.where("not large").select("band", "doc_id", "set")
+    dealt = few.join(known.select("doc_id", "set", "short"), ["doc_id", "set"]).select(F.col("band").alias("pair"), "doc_id", "short")
     agree = int(np.ceil(config.short_agree * config.short))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -209,7 +212,8 @@ def candidate_links(reps: DataFrame, config: DedupConfig) -> DataFrame:
                     b += y
             yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], names=["a", "b"])
 
-    return dealt.repartition("pair").sortWithinPartitions("pair").mapInArrow(run, "a long, b long").where("a <> b").distinct()
+    near = dealt.repartition("pair").sortWithinPartitions("pair").mapInArrow(run, "a long, b long")
+    return near.union(stars).where("a <> b").distinct()
 
 
 def confirmed_links(docs: DataFrame, clusters: DataFrame, config: DedupConfig) -> DataFrame:
@@ -224,7 +228,8 @@ def confirmed_links(docs: DataFrame, clusters: DataFrame, config: DedupConfig) -
             packed = pa.array([s.tobytes() for s in own], pa.binary())
             yield pa.RecordBatch.from_arrays([*batch.columns[:3], packed], names=["doc_id", "component", "n_parts", "shingles"])
 
-    full = docs.join(members, "doc_id").select("doc_id", "component", "n_parts", "text")
+    texts = maybe_in(docs, "doc_id", members.select("doc_id"))  # few of all texts are shuffled
+    full = texts.join(members, "doc_id").select("doc_id", "component", "n_parts", "text")
     full = full.mapInArrow(sets, "doc_id long, component long, n_parts long, shingles binary")
     dealt = blocks_of_pairs(full, "component", "doc_id").select(F.xxhash64("pair").alias("pair"), "doc_id", "shingles")
 
@@ -240,16 +245,13 @@ def confirmed_links(docs: DataFrame, clusters: DataFrame, config: DedupConfig) -
     return dealt.repartition("pair").sortWithinPartitions("pair").mapInArrow(run, "a long, b long")
 
 
-def copy_links(known: DataFrame, rep: DataFrame, n_rows: int) -> DataFrame:
-    """(a, b): a document and the representative of its set, where they differ. rep: d1, d2, rep, n (rows of the set).
-
-    Sets of more than one in HOT_SETS of all rows, which are fewer than HOT_SETS, come by broadcast and the rest by shuffle,
-    so that no task gets a large group of copies."""
-    copies = rep.where("n > 1")
-    is_hot = F.col("n") > n_rows / HOT_SETS
-    rows = known.select("doc_id", "d1", "d2").join(F.broadcast(copies.where(is_hot).select("d1", "d2", "rep")), ["d1", "d2"], "left")
-    rest = rows.where("rep is null").drop("rep").join(copies.where(~is_hot).select("d1", "d2", "rep"), ["d1", "d2"])
-    return rows.where("rep is not null").unionByName(rest).where("doc_id <> rep").select(F.col("doc_id").alias("a"), F.col("rep").alias("b"))
+def copy_links(known: DataFrame, rep: DataFrame) -> DataFrame:
+    """(a, b): a document and the representative of its set, where they differ. rep: d1, d2, rep, n (rows of the set)."""
+    digest = F.xxhash64("d1", "d2").alias("digest")
+    copies = rep.where("n > 1").select(digest, F.col("d1").alias("r1"), F.col("d2").alias("r2"), "rep", "n")
+    n_rows = copies.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+    rows = join_per_key(known.select("doc_id", "d1", "d2", digest), copies, "digest", n_rows)
+    return rows.where("d1 = r1 and d2 = r2 and doc_id <> rep").select(F.col("doc_id").alias("a"), F.col("rep").alias("b"))
 
 
 def near_duplicates(df: DataFrame, config: DedupConfig = DedupConfig()) -> DataFrame:
@@ -267,8 +269,8 @@ def near_duplicates(df: DataFrame, config: DedupConfig = DedupConfig()) -> DataF
     # one representative for each distinct set; small columns only, summed before the shuffle
     rep = materialize(known.groupBy("d1", "d2").agg(F.min("doc_id").alias("rep"), F.count("*").alias("n")))
     reps = known.join(rep.select("d1", "d2", F.col("rep").alias("doc_id")), ["doc_id", "d1", "d2"]).dropDuplicates(["doc_id", "d1", "d2"])
-    reps = materialize(reps.select("doc_id", "n_shingles", "bands", "short"))
-    same = copy_links(known, rep, sig.count())
+    reps = materialize(reps.select("doc_id", "d1", "n_shingles", "bands", "short"))
+    same = copy_links(known, rep)
     found = candidate_links(reps, config)
     clusters = connected_components(found)
     sizes = reps.groupBy("doc_id").agg(F.max("n_shingles").alias("n_shingles")).withColumnRenamed("doc_id", "node")
