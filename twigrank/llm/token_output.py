@@ -12,18 +12,19 @@ import os
 import re
 import uuid
 import zlib
-from array import array
 from collections.abc import Iterator
 from dataclasses import dataclass
+from functools import lru_cache
 from itertools import pairwise
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from twigrank.llm.common import shared_dir, slices
+from twigrank.llm.common import by_bytes, shared_dir, slices
 
 #: Ids in a word and their bits for each selector; fixed values of the format. 0 and 1 are runs of zeros, 15 an escape.
 COUNTS = np.array([240, 120, 60, 30, 20, 15, 12, 10, 8, 7, 6, 5, 4, 3, 2, 1], dtype=np.int64)
@@ -117,81 +118,137 @@ def decode(words: np.ndarray, escapes: np.ndarray) -> np.ndarray:
     return out
 
 
-#: Whitespace that the vocabulary's splitter knows besides the ASCII one, and characters that only Python counts as such.
-ODD_SPACE = re.compile(r"[\x1c-\x1f\x85\xa0  -     　]")
-#: Latin letters, all of them letters to the splitter; a run of them is cut off where an ASCII non-letter follows.
-LATIN = r"A-Za-zÀ-ÖØ-öø-ɏ"
-SEGMENT = re.compile(rf"[ \t-\r]*(?:[{LATIN}]+(?=[\0-@\[-`{{-\x7f]|\Z)|[^ \t-\r]+)|[ \t-\r]+")
-
-
-def uneven(text: str) -> bool:
-    """Whether there is other white space than single spaces and single line ends between words."""
-    return text[0] in " \n" or text[-1] in " \n" or any(x in text for x in ("  ", " \n", "\n ", "\n\n", "\t", "\r", "\v", "\f")) or odd(text)
-
-
-def odd(text: str) -> bool:
-    return ODD_SPACE.search(text) is not None
+#: White space that the vocabulary's splitter knows besides the ASCII one, and characters that only Python counts as such.
+ODD_SPACE = r"[\x1c-\x1f\x{85}\x{a0}\x{1680}\x{2000}-\x{200a}\x{2028}\x{2029}\x{202f}\x{205f}\x{3000}]"
+#: Other white space than single spaces and single line ends between words.
+UNEVEN = r"^[ \n]|[ \n]$|  | \n|\n |\n\n|[\t\r\x0b\x0c]"
+SEGMENT = re.compile(r"[ \t-\r]*[^ \t-\r]+|[ \t-\r]+")
+SPACES = " \t\n\v\f\r"
+LEARN_BYTES = 1 << 14  # of new words that the library gets as one text
 
 
 class Encoder:
-    """Token ids of whole texts by the tokenizers library, with the ids of text segments remembered.
+    """Token ids of whole texts by the tokenizers library, with the ids of words remembered.
 
     The byte-level splitter never lets a pre-token run from a non-space character into white space, and its look-ahead
     stays within a run of white space; a text cut before each such run therefore has the ids of its segments, one after
-    another. Likewise a run of letters ends a pre-token wherever a non-letter follows. Texts with other white space than the
-    ASCII one go to the library whole.
+    another. New segments go to the library side by side in one text for the same reason; each id stands for a fixed number
+    of bytes, so the ids are told apart by the segments' lengths. Texts with other white space than the ASCII one go to the
+    library whole. Memories have two generations: a word that is met again moves to the young one.
     """
 
-    def __init__(self, path: str, remember: int = 800_000):
+    def __init__(self, path: str, remember: int = 300_000):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")  # the tasks of an executor share its cores already
         from tokenizers import Tokenizer
 
         self.tokenizer, self.remember = Tokenizer.from_file(path), remember
-        self.code = "H" if self.tokenizer.get_vocab_size() <= 1 << 16 else "I"
-        # the ids of segments, and of words after a space, as packed integers: joined, they are those of a text
-        self.known: dict[str, bytes] = {}
-        self.words: dict[str, bytes] = {}
-
-    def learn(self, segments: list[str]) -> None:
-        for k in range(0, len(segments), 8192):
-            part = segments[k : k + 8192]
-            found = self.tokenizer.encode_batch_fast(part, add_special_tokens=False)
-            self.known.update((s, array(self.code, e.ids).tobytes()) for s, e in zip(part, found))
-
-    def compose(self, pieces: list[list[str]]) -> list[bytes]:
-        """The ids of pieces that are given as their segments."""
-        new = {s for p in pieces for s in p if s not in self.known}
-        if new:
-            self.learn(list(new))
-        known = self.known
-        return [b"".join([known[s] for s in p]) for p in pieces]
-
-    def encode(self, texts: list[str]) -> list[np.ndarray]:
-        """The ids of each text."""
-        if len(self.known) > self.remember or len(self.words) > self.remember:
-            self.known.clear()
-            self.words.clear()
-        get, flat, ends, firsts, others = self.words.get, [], [0], [], []
-        for text in texts:
-            first = []
-            if text and uneven(text):
-                first = [text] if odd(text) else SEGMENT.findall(text)
-            elif text:
-                # words as they stand between single spaces, and a line's first word with its line end
-                head, *rest = text.replace("\n", " \n").split(" ")
-                first = SEGMENT.findall(head)
-                flat += rest
-            firsts.append(first)
-            ends.append(len(flat))
-        parts = list(map(get, flat))
-        missing = [i for i, p in enumerate(parts) if p is None]
+        vocabulary = self.tokenizer.get_vocab(with_added_tokens=False)
+        added = self.tokenizer.get_added_tokens_decoder()
+        last = max([*vocabulary.values(), *added])
+        self.dtype = np.dtype(np.uint16 if last < 1 << 16 else np.uint32)
+        self.n_bytes = np.zeros(last + 1, dtype=np.int64)  # of the text that an id stands for; a vocabulary character is a byte
+        self.n_bytes[list(vocabulary.values())] = [len(x) for x in vocabulary]
+        for k, token in added.items():
+            self.n_bytes[k] = len(token.content.encode())
+        self.young: dict[str, bytes] = {}
+        self.old: dict[str, bytes] = {}
+
+    def library(self, texts: list[str]) -> list[np.ndarray]:
+        return [np.array(e.ids, dtype=self.dtype) for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+
+    def learn(self, words: list[str]) -> list[bytes]:
+        """Remember the ids, packed, of distinct words as they stand after a space, or after the line end they begin with."""
+        segments = [w if w[0] in SPACES else " " + w for w in words]
+        sizes = list(map(len, map(str.encode, segments)))
+        at, found = 0, []
+        while at < len(segments):
+            end, held = at, 0
+            while end < len(segments) and (end == at or held + sizes[end] <= LEARN_BYTES):
+                held += sizes[end]
+                end += 1
+            ids = self.library(["".join(segments[at:end])])[0]
+            reach, wanted = np.cumsum(self.n_bytes[ids]), np.cumsum(sizes[at:end])
+            cuts = np.searchsorted(reach, wanted) + 1
+            if not len(ids) or reach[-1] != wanted[-1] or (reach[cuts - 1] != wanted).any():
+                raise ValueError("ids of the vocabulary do not stand for fixed numbers of bytes")
+            packed, places = ids.tobytes(), [0, *(cuts * self.dtype.itemsize).tolist()]
+            found += [packed[lo:hi] for lo, hi in pairwise(places)]
+            at = end
+        self.young.update(zip(words, found))
+        return found
+
+    def known(self, words: list[str]) -> list[bytes]:
+        """The ids of distinct words, as `learn` gives them; an empty word has none."""
+        if len(self.young) > self.remember:
+            self.young, self.old = {}, self.young
+        found = list(map(self.young.get, words))
+        missing, get_old = [], self.old.get
+        for k in [k for k, x in enumerate(found) if x is None]:
+            x = b"" if not words[k] else get_old(words[k])
+            if x is None:
+                missing.append(k)
+            else:
+                found[k] = self.young[words[k]] = x
         if missing:
-            new = list({flat[i] for i in missing})
-            self.words.update(zip(new, self.compose([SEGMENT.findall(w if w[0] == "\n" else " " + w) for w in new])))
-            for i in missing:
-                parts[i] = get(flat[i])
-        begun = self.compose(firsts)
-        return [np.frombuffer(b"".join([b, *parts[lo:hi]]), dtype=self.code) for b, (lo, hi) in zip(begun, pairwise(ends))]
+            for k, x in zip(missing, self.learn([words[k] for k in missing])):
+                found[k] = x
+        return found
+
+    def slow(self, text: str) -> np.ndarray:
+        """The ids of a text with uneven white space, by its segments."""
+        head, *rest = SEGMENT.findall(text)
+        ends = [head, *(rest.pop() for _ in range(1) if rest and not rest[-1].strip(SPACES))]  # white space at the end stands alone
+        distinct = list(dict.fromkeys(rest))
+        own = dict(zip(distinct, self.known([x[1:] if x[0] == " " and x[1] not in SPACES else x for x in distinct])))
+        first, *last = self.library(ends)
+        return np.concatenate([first, np.frombuffer(b"".join(map(own.get, rest)), dtype=self.dtype), *last])
+
+    def encode_column(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """(ids of all texts one after another, number of ids of each); null texts are empty."""
+        texts = texts.fill_null("")
+        odd = np.asarray(pc.match_substring_regex(texts, ODD_SPACE))
+        uneven = np.asarray(pc.match_substring_regex(texts, UNEVEN)) & ~odd
+        special = np.nonzero(odd | uneven)[0].tolist()
+        if special:
+            own = {k: self.library([texts[k].as_py()])[0] if odd[k] else self.slow(texts[k].as_py()) for k in special}
+            texts = pc.if_else(pa.array(odd | uneven), "", texts)
+        # words as they stand between single spaces, and a line's first word with its line end
+        split = pc.split_pattern(pc.replace_substring(texts, "\n", " \n"), " ")
+        offsets = np.asarray(split.offsets) - split.offsets[0].as_py()
+        coded = split.flatten().dictionary_encode()
+        codes, distinct = np.array(coded.indices), coded.dictionary.to_pylist()
+        del split, texts
+        # a text's first word has no space before it: a code of its own
+        heads = np.unique(codes[offsets[:-1]])
+        codes[offsets[:-1]] = len(distinct) + np.searchsorted(heads, codes[offsets[:-1]])
+        packed = self.known(distinct) + [x.tobytes() for x in self.library([distinct[k] for k in heads.tolist()])]
+        n_ids = np.fromiter(map(len, packed), dtype=np.int32, count=len(packed)) // np.int32(self.dtype.itemsize)
+        pool = np.frombuffer(b"".join(packed), dtype=self.dtype)
+        starts, sizes = np.cumsum(n_ids, dtype=np.int32) - n_ids, n_ids[codes]
+        reach = np.cumsum(sizes, dtype=np.int32)  # a batch has far fewer ids than 2^31
+        place = np.repeat(starts[codes] - (reach - sizes), sizes)
+        place += np.arange(len(place), dtype=np.int32)
+        ids, reach = pool[place], np.r_[0, reach].astype(np.int64)
+        n = np.diff(reach[offsets])
+        if special:
+            parts = np.split(ids, np.cumsum(n)[:-1])
+            for k in special:
+                parts[k], n[k] = own[k], len(own[k])
+            ids = np.concatenate(parts)
+        return ids, n
+
+    def encode(self, texts: list[str | None]) -> list[np.ndarray]:
+        """The ids of each text."""
+        if not texts:
+            return []
+        ids, n = self.encode_column(pa.array(texts, pa.string()))
+        return np.split(ids, np.cumsum(n)[:-1])
+
+
+@lru_cache(maxsize=2)
+def encoder_of(path: str) -> Encoder:
+    """The encoder of this process: what one task has remembered, the next ones of the same Python worker know."""
+    return Encoder(path)
 
 
 @dataclass(frozen=True)
@@ -213,27 +270,32 @@ def write_tokens(df: DataFrame, path: str, form: TokenFormat) -> None:
     rows = df.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder, part, number, first = Encoder(form.vocabulary), TaskContext.get().partitionId(), 0, 0
+        encoder, part, number, first = encoder_of(form.vocabulary), TaskContext.get().partitionId(), 0, 0
         docs: list[int | None] = []
         sizes: list[int] = []
-        parts_: list[np.ndarray] = []
-        held, end = 0, np.array([form.end_id], dtype=encoder.code)
+        held_ids: list[np.ndarray] = []
+        held = 0
 
         def block() -> pa.RecordBatch:
-            nonlocal number, first, docs, sizes, parts_, held
-            words, far = encode(np.concatenate(parts_))
+            nonlocal number, first, docs, sizes, held_ids, held
+            words, far = encode(np.concatenate(held_ids))
             cols = [part, number, first, held, docs, sizes, words.astype("<u8").tobytes(), far.astype("<u8").tobytes()]
             kinds = [pa.int32(), pa.int32(), pa.int64(), pa.int64(), pa.list_(pa.int64()), pa.list_(pa.int64()), pa.binary(), pa.binary()]
             out = pa.RecordBatch.from_arrays([pa.array([c], k) for c, k in zip(cols, kinds)], names=[x.split()[0] for x in BLOCKS.split(", ")])
-            number, first, docs, sizes, parts_, held = number + 1, first + held, [], [], [], 0
+            number, first, docs, sizes, held_ids, held = number + 1, first + held, [], [], [], 0
             return out
 
-        for batch in slices(batches, 256):
-            for doc, ids in zip(batch.column(0).to_pylist(), encoder.encode([t or "" for t in batch.column(1).to_pylist()])):
-                docs.append(doc)
-                sizes.append(len(ids) + 1)
-                parts_ += [ids, end]
-                held += len(ids) + 1
+        for batch in by_bytes(batches, "text"):
+            ids, n = encoder.encode_column(batch.column(1))
+            ids = np.insert(ids, np.cumsum(n), form.end_id)
+            n, at, begin = n + 1, 0, 0
+            own, reach = batch.column(0).to_pylist(), np.cumsum(n)
+            while at < len(own):  # whole documents up to the block's size
+                end = min(len(own), int(np.searchsorted(reach, begin + form.block_ids - held)) + 1)
+                docs += own[at:end]
+                sizes += n[at:end].tolist()
+                held_ids.append(ids[begin : reach[end - 1]])
+                held, at, begin = held + int(reach[end - 1]) - begin, end, int(reach[end - 1])
                 if held >= form.block_ids:
                     yield block()
         if docs:
