@@ -1,11 +1,12 @@
 """Mixing sources to target weights.
 
 Each source's words are packed, document after document, into blocks of fixed length. The output has slots of one block
-each, cut into shards; every shard draws its number of slots of each source from the multinomial law of the target weights,
-conditioned on the targets' exact totals (the multivariate hypergeometric law, drawn down a tree: superblocks of shards on
-the driver, shards in tasks). The slots of a source are numbered through, and number k is block perm(k mod blocks) of pass
-k div blocks, where every pass has a pseudorandom permutation of its own; slots then join blocks by index. Totals are held
-fixed since free draws would leave small sources far from their target.
+each, cut into shards; every shard draws its number of slots of each source from the multinomial law of the target weights that
+are left. The draws go down a tree: the slots of a range of shards are split between its halves by a multinomial draw, of
+which no source gives more than it has left, so that totals come out exact at any size; free draws would leave small
+sources far from their target. Any task can walk down to its own shards, since a node's draw has a seed of its own. The
+slots of a source are numbered through, and number k is block perm(k mod blocks) of pass k div blocks, where every pass has
+a pseudorandom permutation of its own; slots then join blocks by index.
 """
 
 from __future__ import annotations
@@ -23,6 +24,8 @@ from twigrank.llm.common import materialize, slices
 
 #: Each source's documents are packed in this many sub-sequences side by side, so that no task packs a whole source.
 LANES = 256
+#: Sources that a plan takes; their sizes and targets are summed up on the driver.
+MAX_SOURCES = 100_000
 MOST = 3  # times its size that a source is taken at most
 
 
@@ -30,7 +33,7 @@ MOST = 3  # times its size that a source is taken at most
 class MixPlan:
     block_words: int = 64
     shard_slots: int = 4096
-    super_shards: int = 256  # shards of a superblock
+    super_shards: int = 16  # shards that one step of a task draws
     seed: int = 20240607
     weights: tuple[float, ...] = (1, 2, 3)  # of sources by code point, null last, repeating
 
@@ -79,10 +82,12 @@ def word_counts(df: DataFrame, text_col: str = "text", source_col: str = "source
 
 
 def plan_sources(counts: DataFrame, plan: MixPlan) -> DataFrame:
-    """source, weight, source_size and target of each source, on the driver: sources are few (names of corpora).
+    """source, weight, source_size and target of each source, on the driver: more than MAX_SOURCES sources raise.
 
     Sorted by code point, null last, which also is the order of their UTF-8 bytes."""
-    rows = counts.groupBy("source").agg(F.sum("size").alias("n")).collect()
+    rows = counts.groupBy("source").agg(F.sum("size").alias("n")).limit(MAX_SOURCES + 1).collect()
+    if len(rows) > MAX_SOURCES:
+        raise ValueError(f"more than {MAX_SOURCES} sources")
     rows = sorted(rows, key=lambda r: (r["source"] is None, (r["source"] or "").encode()))
     sizes = [r["n"] for r in rows]
     weights = [plan.weights[i % len(plan.weights)] for i in range(len(rows))]
@@ -93,51 +98,59 @@ def plan_sources(counts: DataFrame, plan: MixPlan) -> DataFrame:
     return counts.sparkSession.createDataFrame(table, schema)
 
 
-def superblock(rng: np.random.Generator, left: np.ndarray, span: int) -> np.ndarray:
-    """Slots of each source in the next `span` slots. Beyond a billion slots, which numpy's sampler doesn't take and where
-    a superblock's share is certain to a few thousandths, they are the exact shares, rounded by largest remainder."""
-    total = int(left.sum())
-    if total <= span:
+def draw(rng: np.random.Generator, left: np.ndarray, span: int) -> np.ndarray:
+    """Slots of each source in the next `span` slots: multinomial by what is left; what a source lacks is drawn again from
+    the others."""
+    if int(left.sum()) <= span:
         return left.copy()
-    if total < 1_000_000_000:
-        return rng.multivariate_hypergeometric(left, span, method="marginals")
-    exact = left / total * span
-    own = np.floor(exact).astype(np.int64)
-    own[np.argsort(own - exact, kind="stable")[: span - int(own.sum())]] += 1
+    own, wanted = np.zeros_like(left), span
+    while wanted:
+        rest = left - own
+        own = np.minimum(left, own + rng.multinomial(wanted, rest / rest.sum()))
+        wanted = span - int(own.sum())
     return own
 
 
+def shard_range(plan: MixPlan, slots: np.ndarray, lo: int, hi: int) -> tuple[np.ndarray, np.ndarray]:
+    """(slots of each source in shards lo to hi - 1, slots of each source before them), where hi - lo is a power of two and
+    divides lo: down the tree of halves, whose nodes draw from seeds of their own."""
+    own, before, at = slots.copy(), np.zeros_like(slots), 0
+    total = -(-int(slots.sum()) // plan.shard_slots)
+    size = 1 << max(hi - lo, total - 1, 1).bit_length()
+    while size > hi - lo:
+        size //= 2
+        rng = np.random.Generator(np.random.Philox(key=[plan.seed, size]).jumped(at // size + 1))
+        left = draw(rng, own, size * plan.shard_slots)
+        if lo >= at + size:
+            own, before, at = own - left, before + left, at + size
+        else:
+            own = left
+    return own, before
+
+
 def draw_slots(sources: DataFrame, plan: MixPlan) -> DataFrame:
     """(k, block, times): how often each block is taken, from the slots of all shards. Only blocks that are taken."""
     spark = sources.sparkSession
     rows = sources.orderBy("k").collect()
-    left = np.array([r["n_slots"] for r in rows], dtype=np.int64)
+    slots = np.array([r["n_slots"] for r in rows], dtype=np.int64)
     n_blocks = [max(1, r["n_blocks"]) for r in rows]
-    rng = np.random.Generator(np.random.Philox(plan.seed))
-    used, supers, span = np.zeros_like(left), [], plan.shard_slots * plan.super_shards
-    while left.sum():
-        own = superblock(rng, left, span)
-        supers.append((len(supers), own.tolist(), used.tolist()))
-        left, used = left - own, used + own
+    steps = -(-int(slots.sum()) // (plan.shard_slots * plan.super_shards))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for number, own, start in zip(*(c.to_pylist() for c in batch.columns)):
-                own, start = np.array(own, dtype=np.int64), np.array(start, dtype=np.int64)
-                draw = np.random.Generator(np.random.Philox(key=[plan.seed, number + 1]))
-                while own.sum():
-                    shard = draw.multivariate_hypergeometric(own, min(plan.shard_slots, int(own.sum())), method="marginals")
-                    for k in np.nonzero(shard)[0].tolist():
-                        slot = np.arange(start[k], start[k] + shard[k])
+            for step in batch.column(0).to_pylist():
+                for shard in range(step * plan.super_shards, (step + 1) * plan.super_shards):
+                    own, start = shard_range(plan, slots, shard, shard + 1)
+                    for k in np.nonzero(own)[0].tolist():
+                        slot = np.arange(start[k], start[k] + own[k])
                         turn, index = slot // n_blocks[k], slot % n_blocks[k]
                         block = np.empty_like(slot)
                         for e in np.unique(turn).tolist():
                             at = turn == e
                             block[at] = permuted(index[at], n_blocks[k], plan.seed * 1000 + k * MOST * 7 + e)
                         yield pa.RecordBatch.from_arrays([pa.array(np.full(len(slot), k, dtype=np.int32)), pa.array(block)], names=["k", "block"])
-                    own, start = own - shard, start + shard
 
-    shards = spark.createDataFrame(supers, "number long, own array<long>, start array<long>").repartition(max(1, min(len(supers), 4096)))
+    shards = spark.range(0, steps, 1, max(1, min(steps, 4096)))
     return shards.mapInArrow(run, "k int, block long").groupBy("k", "block").agg(F.count("*").cast("int").alias("times"))
 
 
@@ -171,7 +184,7 @@ def mix(df: DataFrame, plan: MixPlan = MixPlan()) -> DataFrame:
     low = F.greatest(F.col("block") * size - F.col("start"), F.lit(0))
     high = F.least((F.col("block") + 1) * size - F.col("start"), F.col("size"))
     taken = (
-        parts.join(draw_slots(sources, plan), ["k", "block"])
+        parts.join(materialize(draw_slots(sources, plan)), ["k", "block"])  # its size is known then
         .select("row", F.struct(low.alias("lo"), high.alias("hi"), "times").alias("piece"))
         .groupBy("row")
         .agg(F.sort_array(F.collect_list("piece")).alias("pieces"))  # as many as the document has blocks
