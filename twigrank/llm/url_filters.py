@@ -7,13 +7,13 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from twigrank.llm.common import join_per_key, materialize
+
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 #: Hexadecimal digits of the digest that the join compares first.
 SHORT = 8
 #: Rule tables up to this many rows are broadcast (about 120 bytes each); larger ones are shuffled on the short prefix.
 BROADCAST_RULES = 200_000
-#: Copies of each verdict, so that one URL that a third of all rows share is spread over as many tasks.
-SALTS = 32
 
 
 @dataclass(frozen=True)
@@ -43,7 +43,8 @@ def judge_urls(df: DataFrame, rules: DataFrame, url_col: str = "url", default: s
     A rule fits its host and all subdomains if the url's path starts with the rule's; the longest rule string wins, then
     the longer host, then block. Rules with a null field are ignored. Without a fitting rule: rule null, verdict `default`.
     Null urls and urls without ``://`` have an empty host and path and get the default unless a rule has an empty host.
-    Repeated rows are judged each; an empty table gives an empty one.
+    Repeated rows are judged each; an empty table gives an empty one. Each distinct host and path is judged once; verdicts
+    of URLs that many rows share come back to their rows by broadcast.
     """
     rules = rules.dropna(subset=["verdict", "host", "path"]).select(
         "verdict", F.translate("host", UPPER, LOWER).alias("rule_host"), F.col("path").alias("rule_path")
@@ -78,9 +79,9 @@ def judge_urls(df: DataFrame, rules: DataFrame, url_col: str = "url", default: s
     )
     if not shape["n"]:
         return rows.withColumn("rule", F.lit(None).cast("string")).withColumn("verdict", F.lit(default))
+    urls = materialize(rows.groupBy("host", "path").agg(F.count("*").alias("n")))
     expressions = (
-        rows.select("host", "path")
-        .distinct()
+        urls.select("host", "path")
         .withColumn("suffix", F.explode(suffixes))
         .withColumn("prefix", F.explode(prefixes))
         .withColumn("full", F.sha2(F.concat("suffix", "prefix"), 256))
@@ -95,8 +96,7 @@ def judge_urls(df: DataFrame, rules: DataFrame, url_col: str = "url", default: s
         .groupBy("host", "path")
         .agg(best.alias("best"))
         .select("host", "path", F.col("best.rule").alias("rule"), F.col("best.verdict").alias("verdict"))
-        .withColumn("_salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
     )
-    salted = rows.withColumn("_salt", F.pmod(F.monotonically_increasing_id(), F.lit(SALTS)).cast("int"))
-    judged = salted.join(found, ["host", "path", "_salt"], "left").drop("_salt")
-    return judged.withColumn("verdict", F.coalesce("verdict", F.lit(default)))
+    judged = urls.join(found, ["host", "path"], "left").withColumn("verdict", F.coalesce("verdict", F.lit(default)))
+    n_rows = urls.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+    return join_per_key(rows, judged, ["host", "path"], n_rows).select(*rows.columns, "rule", "verdict")
