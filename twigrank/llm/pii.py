@@ -1,9 +1,10 @@
 """Surrogates for personal data, in DataFrame functions only.
 
 Entities (e-mail and IP addresses, phone, card, social security and account numbers, secret keys, titled names) are found
-by one pattern and replaced by keyed surrogates of their type. A surrogate is a function of the key, the type and the
+by one pattern and replaced by keyed surrogates of their type; the name of a person who has a title somewhere in a document is
+replaced in the rest of the document too. A surrogate is a function of the key, the type and the
 entity's canonical form, so all mentions of an entity get the same one in whatever format they are written; it keeps the
-format of the mention: punctuation, length, case, check digit, script, and the gender that a name's title tells. Names get
+format of the mention: punctuation, length, case, country, check digits, script, and the gender that a name's title tells. Names get
 theirs word by word, so that names that share a word stay alike. A table of all distinct entities and words checks that no
 two share a surrogate and that none is one of the corpus; those that do get another attempt, and what still collides then
 gets the free values of its format by rank, or a longer one where its format is full.
@@ -14,7 +15,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from twigrank.llm.common import materialize
+from twigrank.llm.common import mark_in, materialize
 
 # Titles by gender and script, and syllables of invented names.
 MALE = ["Mr", "Mister", "Sir", "Herr", "Monsieur", "Señor", "Sr", "Signor", "Господин"]
@@ -26,17 +27,18 @@ EMAIL = r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)*\.[A-Za-z]{2,}"
 SECRET = r"(?<![A-Za-z0-9])(?:[0-9a-f]{32,}|[0-9A-F]{32,})(?![A-Za-z0-9])"
 ACCOUNT = r"(?<![A-Za-z0-9])[A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]{4}){3,7}(?: ?[A-Z0-9]{1,3})?(?![A-Za-z0-9])"
 ADDRESS = r"(?<![0-9.])(?:25[0-5]|2[0-4][0-9]|1?[0-9]?[0-9])(?:\.(?:25[0-5]|2[0-4][0-9]|1?[0-9]?[0-9])){3}(?![0-9]|\.[0-9])"
+ADDRESS6 = r"(?<![0-9A-Za-z:.])(?:(?:[0-9A-Fa-f]{1,4}:){7}[0-9A-Fa-f]{1,4}|(?=[0-9A-Fa-f:]*[0-9])(?:[0-9A-Fa-f]{1,4}:){1,6}(?::[0-9A-Fa-f]{1,4}){1,6})(?![0-9A-Za-z:])"
 SOCIAL = r"(?<![0-9-])[0-9]{3}-[0-9]{2}-[0-9]{4}(?![0-9-])"
 CARD = r"(?<![0-9.+])[0-9](?:[ -]?[0-9]){12,18}(?![0-9])"
 PHONE = r"(?<![0-9+])(?:\+?[0-9]{1,3}[ .-]?)?\([0-9]{2,4}\)[ .-]?[0-9]{3,4}[ .-]?[0-9]{3,4}(?![0-9])|\+[0-9]{1,3}(?:[ .-]?[0-9]{2,4}){2,4}(?![0-9])|(?<![0-9-])[0-9]{3}[ .-][0-9]{3}[ .-][0-9]{4}(?![0-9-])"
 TITLE = r"(?<!\p{L})(?:" + "|".join(sorted([*MALE, *FEMALE], key=len, reverse=True)) + r")\.? "
 NAME = TITLE + r"\p{Lu}\p{L}+(?: \p{Lu}\p{L}+)?"
-ANY = "|".join(f"(?:{p})" for p in (EMAIL, SECRET, ACCOUNT, ADDRESS, SOCIAL, CARD, PHONE, NAME))
+ANY = "|".join(f"(?:{p})" for p in (EMAIL, SECRET, ACCOUNT, ADDRESS6, ADDRESS, SOCIAL, CARD, PHONE, NAME))
 #: What a text must have to hold any entity; most texts stop here.
 HINT = r"[0-9@]|" + TITLE
 #: Types of the words of names: family names, and given names by gender.
 WORDS = ("family", "given_m", "given_f")
-TYPES = [("email", EMAIL), ("secret", SECRET), ("account", ACCOUNT), ("address", ADDRESS), ("social", SOCIAL), ("card", CARD), ("phone", PHONE)]
+TYPES = [("email", EMAIL), ("secret", SECRET), ("account", ACCOUNT), ("address6", ADDRESS6), ("address", ADDRESS), ("social", SOCIAL), ("card", CARD), ("phone", PHONE)]
 MAX_ATTEMPTS = 16
 
 
@@ -52,7 +54,7 @@ def canonical(mention: Column, type_: Column) -> Column:
     digits = F.regexp_replace(mention, "[^0-9]", "")
     gender = F.when(mention.rlike("^(?:" + "|".join(FEMALE) + r")\.? "), "f").otherwise("m")
     return (
-        F.when(type_ == "email", F.lower(mention))
+        F.when(type_.isin("email", "address6"), F.lower(mention))
         .when(type_.isin("phone", "card", "social"), digits)
         .when(type_ == "account", F.replace(mention, F.lit(" "), F.lit("")))
         .when(type_ == "name", F.concat(gender, F.lit(":"), F.lower(F.regexp_replace(mention, "^" + TITLE, ""))))
@@ -106,6 +108,23 @@ def luhn(digits: Column) -> Column:
     return F.aggregate(each, F.lit(0), lambda a, x: a + x) % 10
 
 
+def mod97(text: Column) -> Column:
+    """The number of which the check digits of an account make 1; letters count as 10 to 35."""
+    step = lambda a, c: F.when(c.rlike("[0-9]"), a * 10 + F.ascii(c) - 48).otherwise(a * 100 + F.ascii(c) - 55) % 97
+    return F.aggregate(F.filter(F.split(text, ""), lambda c: c != ""), F.lit(0), step)
+
+
+def is_valid_account(entity: Column) -> Column:
+    return mod97(F.concat(F.substring(entity, 5, 1000), F.substring(entity, 1, 4))) == 1
+
+
+def account_of(entity: Column, body: Column) -> Column:
+    """An account number of the entity's country with another body; valid if the entity is, else with its check digits."""
+    country = F.substring(entity, 1, 2)
+    check = F.lpad((98 - mod97(F.concat(body, country, F.lit("00")))).cast("string"), 2, "0")
+    return F.concat(country, F.when(is_valid_account(entity), check).otherwise(F.substring(entity, 3, 2)), body)
+
+
 def n_syllables(word: Column) -> Column:
     return F.least(F.lit(4), F.greatest(F.lit(2), F.floor(F.length(word) / 2).cast("int")))
 
@@ -143,11 +162,14 @@ def surrogate(key: str, type_: Column, entity: Column, attempt: Column) -> Colum
     hexes = stream(seed, F.length(entity))
     secret = F.array_join(F.transform(F.split(entity, ""), lambda c, i: F.when(c == "", "").when(c.rlike("[A-F]") | (entity == F.upper(entity)), pick("0123456789ABCDEF", number(hexes, i, 16))).otherwise(pick("0123456789abcdef", number(hexes, i, 16)))), "")
     address = F.array_join(F.transform(F.sequence(F.lit(0), F.lit(3)), lambda i: (number(hexes, i, 254) + 1).cast("string")), ".")
+    address6 = F.array_join(F.transform(F.split(entity, ""), lambda c, i: F.when(c.rlike("[0-9a-f]"), pick("0123456789abcdef", number(hexes, i, 16))).otherwise(c)), "")
     word = syllables(entity, F.concat_ws("|", F.lit(key), F.lit("word"), entity, attempt.cast("string")), ending(type_, entity))
     return (
         F.when(type_ == "email", email)
         .when(type_ == "secret", secret)
         .when(type_ == "address", address)
+        .when(type_ == "address6", address6)
+        .when(type_ == "account", account_of(entity, F.substring(shuffled, 5, 1000)))
         .when(type_ == "card", F.when(luhn(entity) == 0, valid).otherwise(digits))
         .when(type_ == "phone", digits)
         .when(type_.isin(*WORDS), word)
@@ -187,6 +209,8 @@ def nth(key: str, type_: Column, entity: Column, extra: int, v: Column) -> Colum
         .when(type_ == "email", F.concat(written(F.concat(F.substring_index(entity, "@", 1), more("a"))), new_domain(key, entity)))
         .when(type_ == "secret", F.when(entity == F.upper(entity), spelled(places, of("0123456789ABCDEF"), v)).otherwise(spelled(places, of("0123456789abcdef"), v)))
         .when(type_ == "address", number_)
+        .when(type_ == "address6", spelled(F.filter(F.split(entity, ""), lambda c: c != ""), lambda c, rest: (F.when(c.rlike("[0-9a-f]"), of("0123456789abcdef")(c, rest)[0]).otherwise(c), F.when(c.rlike("[0-9a-f]"), 16).otherwise(1).cast("long")), v))
+        .when(type_ == "account", account_of(entity, written(F.concat(F.substring(entity, 5, 1000), more("0")))))
         .when((type_ == "card") & (luhn(entity) == 0), valid)
         .when(type_.isin("phone", "card"), F.concat(first, written(F.concat(rest_of, more("0")))))
         .otherwise(written(F.concat(entity, more("0"))))
@@ -203,6 +227,8 @@ def shape(type_: Column, value: Column) -> Column:
         .when(type_.isin("phone", "card"), F.concat(F.substring(value, 1, 1), length))
         .when(type_ == "secret", length)
         .when(type_ == "address", "")
+        .when(type_ == "address6", F.regexp_replace(value, "[0-9a-f]", "0"))
+        .when(type_ == "account", F.concat(F.substring(value, 1, 2), classes(F.substring(value, 5, 1000))))
         .otherwise(classes(value))
     )
 
@@ -219,7 +245,7 @@ def render(mention: Column, type_: Column, core: Column) -> Column:
     cased = F.array_join(F.transform(F.filter(F.split(core, ""), lambda c: c != ""), lambda c, i: F.when(F.substring(mention, i + 1, F.lit(1)).rlike("[A-Z]"), F.upper(c)).otherwise(c)), "")
     return (
         F.when(type_.isin("phone", "card", "social", "account"), poured)
-        .when(type_ == "email", cased)
+        .when(type_.isin("email", "address6"), cased)
         .when(type_ == "name", F.concat(F.regexp_extract(mention, "^" + TITLE, 0), F.substring(core, 3, 1000)))
         .otherwise(core)
     )
@@ -242,7 +268,7 @@ def ranked_free(table: DataFrame, bad: DataFrame, key: str, extra: int) -> DataF
     """The table with the units of `bad` given free values of their formats, in keyed order; those for which none is left
     keep what they have. Of a format with t values in use, the first t + n hold n free ones, if it has so many."""
     t, e = F.col("type"), F.col("entity")
-    same_choice = F.when(t == "card", (luhn(e) == 0).cast("string")).when(t == "secret", (e == F.upper(e)).cast("string")).otherwise("")
+    same_choice = F.when(t == "card", (luhn(e) == 0).cast("string")).when(t == "account", F.concat(is_valid_account(e).cast("string"), F.when(~is_valid_account(e), F.substring(e, 3, 2)).otherwise(""))).when(t == "secret", (e == F.upper(e)).cast("string")).otherwise("")
     rest = bad.withColumn("shape", shape(t, nth(key, t, e, extra, F.lit(0)))).where("shape is not null").withColumn("choice", same_choice)
     rest = rest.withColumn("r", F.row_number().over(Window.partitionBy("type", "shape", "choice").orderBy(F.sha2(F.concat_ws("|", F.lit(key), "entity"), 256), "entity")))
     kept = table.join(bad, ["type", "entity"], "left_anti")
@@ -257,12 +283,9 @@ def ranked_free(table: DataFrame, bad: DataFrame, key: str, extra: int) -> DataF
     return materialize(done.select("type", "entity", F.when(F.col("new").isNotNull(), MAX_ATTEMPTS + 1 + extra).otherwise(F.col("attempt")).alias("attempt"), F.coalesce("new", "core").alias("core")))
 
 
-def dictionary(docs: DataFrame, key: str, text_col: str = "text") -> DataFrame:
-    """type, entity, attempt and core of every distinct unit, with no core twice in a type and none that is an entity.
-
-    Pre-aggregated before the shuffle, so a hot entity costs no more than one row a task."""
-    found = docs.select(F.explode(mentions(F.col(text_col))).alias("mention")).distinct()
-    found = found.select("mention", kind(F.col("mention")).alias("type"))
+def dictionary(found: DataFrame, key: str) -> DataFrame:
+    """type, entity, attempt and core of every distinct unit of the mentions in found (mention, type), with no core twice in
+    a type and none that is an entity."""
     entities = found.select(F.explode(units(F.col("type"), canonical(F.col("mention"), F.col("type")))).alias("unit")).select("unit.type", "unit.entity").distinct()
     table = materialize(entities.withColumn("attempt", F.lit(0)).withColumn("core", surrogate(key, F.col("type"), F.col("entity"), F.col("attempt"))))
     for _ in range(MAX_ATTEMPTS):
@@ -280,22 +303,32 @@ def dictionary(docs: DataFrame, key: str, text_col: str = "text") -> DataFrame:
     return table
 
 
+def people(names: Column) -> Column:
+    """(old, new) of the names and family names in pairs of titled mentions and their surrogates, whole names first."""
+    bare = F.transform(names, lambda x: F.struct(F.regexp_replace(x["old"], "^" + TITLE, "").alias("old"), F.regexp_replace(x["new"], "^" + TITLE, "").alias("new")))
+    last = F.transform(bare, lambda x: F.struct(F.substring_index(x["old"], " ", -1).alias("old"), F.substring_index(x["new"], " ", -1).alias("new")))
+    return F.array_distinct(F.concat(F.filter(bare, lambda x: x["old"].contains(" ")), last))
+
+
 def replace_pii(docs: DataFrame, key: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, text with all entities replaced, and n_entities, a row for each row of docs.
+    """doc_id, text with all entities replaced, and n_entities (matches of the pattern), a row for each row of docs.
 
     Null and empty texts stay, with 0 entities. Rows that share an id, repeated rows and null ids are treated each. Other
     columns of docs are not read.
     """
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    later = dictionary(rows, key).where("attempt > 0").select("type", "entity", "core")
-    found = rows.withColumn("mentions", mentions(F.col("text")))
+    # one row for each mention in a document; distinct ones are aggregated before the shuffle, so a hot entity costs no more
+    # than one row a task
+    pairs = materialize(rows.select("doc_id", F.explode(F.array_distinct(mentions(F.col("text")))).alias("mention")).withColumn("type", kind(F.col("mention"))))
+    later = dictionary(pairs.select("mention", "type").distinct(), key).where("attempt > 0").select("type", "entity", "core")
     # documents that have a unit of a later attempt, with its surrogate; few, and none where nothing collided
-    each = found.where(F.size("mentions") > 0).select("doc_id", F.explode("mentions").alias("mention"))
-    each = each.select("doc_id", "mention", kind(F.col("mention")).alias("type"))
-    each = each.select("doc_id", F.explode(units(F.col("type"), canonical(F.col("mention"), F.col("type")))).alias("unit")).select("doc_id", "unit.type", "unit.entity").distinct()
+    each = pairs.select("doc_id", F.explode(units(F.col("type"), canonical(F.col("mention"), F.col("type")))).alias("unit")).select("doc_id", "unit.type", "unit.entity").distinct()
     cores = each.join(later, ["type", "entity"]).groupBy("doc_id").agg(F.map_from_entries(F.collect_list(F.struct(F.concat_ws("|", "type", "entity"), "core"))).alias("cores"))
-    cores = cores.withColumnRenamed("doc_id", "_id")
-    both = found.join(cores, F.col("doc_id").eqNullSafe(F.col("_id")), "left")
+    cores = materialize(cores.withColumnRenamed("doc_id", "_id"))
+    marked = mark_in(rows, "doc_id", cores.select(F.col("_id").alias("doc_id")), "_maybe")
+    some, most = marked.where("_maybe").drop("_maybe"), marked.where("not _maybe").drop("_maybe")
+    some = some.join(cores, F.col("doc_id").eqNullSafe(F.col("_id")), "left").drop("_id")
+    both = some.unionByName(most.withColumn("cores", F.lit(None).cast("map<string,string>"))).withColumn("mentions", mentions(F.col("text")))
 
     def replaced(m: Column) -> Column:
         typed = F.transform(F.array(m), lambda x: F.struct(x.alias("m"), kind(x).alias("t")))
@@ -305,7 +338,13 @@ def replace_pii(docs: DataFrame, key: str, id_col: str = "doc_id", text_col: str
         cored = F.transform(named, lambda x: F.struct(x["m"].alias("m"), x["t"].alias("t"), whole(x).alias("c")))
         return F.transform(cored, lambda x: render(x["m"], x["t"], x["c"]))[0]
 
-    between = F.split("text", ANY, -1)
-    filled = F.array_append(F.transform("mentions", replaced), "")
-    text = F.array_join(F.zip_with(between, filled, lambda a, b: F.concat(a, b)), "")
+    # between the mentions, the names of people who have a title elsewhere in the document
+    swaps = F.transform("mentions", lambda m: F.struct(m.alias("old"), replaced(m).alias("new")))
+    known = people(F.filter(swaps, lambda x: x["old"].rlike("^" + TITLE)))
+    untitled = lambda part, names: F.aggregate(names, part, lambda a, p: F.regexp_replace(a, F.concat(F.lit(r"(?<!\p{L})"), p["old"], F.lit(r"(?!\p{L})")), p["new"]))
+    state = F.struct(F.split("text", ANY, -1).alias("parts"), swaps.alias("swaps"), known.alias("people"))
+    text = F.transform(  # an array of one, so that each step is computed once
+        F.array(state),
+        lambda x: F.array_join(F.zip_with(F.transform(x["parts"], lambda part: untitled(part, x["people"])), F.array_append(F.transform(x["swaps"], lambda y: y["new"]), F.lit("")), lambda a, b: F.concat(a, b)), ""),
+    )[0]
     return both.select("doc_id", F.when(F.size("mentions") > 0, text).otherwise(F.col("text")).alias("text"), F.greatest(F.size("mentions"), F.lit(0)).cast("long").alias("n_entities"))
