@@ -7,7 +7,7 @@ from twigrank import catalog
 from twigrank.operators import metrics, search, sweep
 from twigrank.plans.workloads import context, pattern
 
-CHOICE = ["graph_trade4_edges", "sweep_reach_T5", "sweep_down_T5", "spurious_T5", "count_matches_T4", "guided_T1_k5", "guided_T4_k5", "bulk_T4_k5", "kernel_T3_k5", "spine_T4_k5", "naive_T1_k5", "bottleneck_T1", "reliable_T1", "node_weights_T1", "edge_label_T1", "idset_T1", "sparse6_T1_k5", "join_asof", "join_range", "components"]
+CHOICE = ["graph_trade4_edges", "sweep_reach_T5", "sweep_down_T5", "spurious_T5", "count_matches_T4", "guided_T1_k5", "guided_T4_k5", "bulk_T4_k5", "kernel_T3_k5", "spine_T4_k5", "naive_T1_k5", "bottleneck_T1", "reliable_T1", "node_weights_T1", "edge_label_T1", "idset_T1", "sparse6_T1_k5", "join_asof", "worked_example", "guarantees_T4", "candidate_graph_size", "precut_T5_k5", "page2_iso_T2", "page2_iso_T5", "until_T5", "all_T5", "naive_T5_k5", "guided_T2_k5", "guided_T5_k5", "spine_T5_k5", "trade3_T5_k5", "trade3_T4_k5_spine", "activity_T3_k5", "index_delta"]
 
 
 @pytest.mark.parametrize("name", CHOICE)
@@ -39,3 +39,49 @@ def test_every_root_gives_the_same_weights(spark):
 def test_level_cut_uses_group_limits(spark):
     plan = search.topk(context(spark, SMALL, "trade4").candidates(pattern("trade4", "T1"), 10), 5)._jdf.queryExecution().toString()
     assert "WindowGroupLimit" in plan and "CartesianProduct" not in plan and "PartitionFilters: [" in plan
+
+
+def test_bucketed_index_joins_without_moving_arcs(spark):
+    from pyspark.sql import functions as F
+
+    from twigrank.operators.index import build_index
+    from twigrank.sources.graphs import LabeledGraph
+
+    ctx = context(spark, SMALL, "trade4")
+    spark.sql("DROP TABLE IF EXISTS bucketed_arcs")
+    try:
+        built = build_index(LabeledGraph(ctx.index.arcs), "bucketed_arcs", 8)
+        ids = spark.range(100_000).select((F.col("id") + 3 * 10**9).alias("src"))
+        joined = built.arcs.hint("merge").join(ids.groupBy("src").count(), "src")
+        plan = joined._jdf.queryExecution().executedPlan().toString()
+        assert plan.count("Exchange hashpartitioning") == 1 and "Bucketed: true" in plan
+        assert built.arcs.count() == ctx.index.arcs.count()
+    finally:
+        spark.sql("DROP TABLE IF EXISTS bucketed_arcs")
+
+
+def test_index_updates_equal_a_rebuild(spark):
+    from twigrank.operators import index as index_module
+    from twigrank.operators.index import GraphIndex, updated
+
+    arc = lambda a, b, w, d=1: (a, b, "x", "y", "e", d, w)
+    schema = "src long, dst long, src_type string, dst_type string, elabel string, dir int, w long"
+    index, want = GraphIndex(spark.createDataFrame([arc(1, 2, 5), arc(1, 3, 4), arc(2, 3, 1)], schema)), {(1, 2): 5, (1, 3): 4, (2, 3): 1}
+    for k in range(index_module.MAX_LAYERS + 2):
+        new, gone = {(1, 2): 9 - k, (5, k): k, (2, 3): 7}, {(1, 3), (5, k - 2)}
+        index = updated(index, spark.createDataFrame([arc(a, b, w) for (a, b), w in new.items()], schema), spark.createDataFrame(list(gone), "src long, dst long"))
+        want = {e: w for e, w in want.items() if e not in gone}
+        want |= {e: min(w, want.get(e, w)) for e, w in new.items()}
+        assert {(r["src"], r["dst"]): r["w"] for r in index.arcs.collect()} == want
+    assert index.layers <= index_module.MAX_LAYERS
+
+
+def test_reliability_takes_probabilities_only(spark):
+    from pyspark.sql import functions as F
+
+    from twigrank.model import Algebra
+
+    rows = spark.createDataFrame([(0,), (-5,), (1,), (1_000_000,)], "w long").select(Algebra.RELIABILITY.cost(F.col("w")).alias("c")).collect()
+    assert [r["c"] for r in rows] == [None, None, 13815510558, 0]
+    with pytest.raises(Exception, match="above a million"):
+        spark.createDataFrame([(1_000_001,)], "w long").select(Algebra.RELIABILITY.cost(F.col("w"))).collect()

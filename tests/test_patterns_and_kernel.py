@@ -7,7 +7,7 @@ import pandas as pd
 import pytest
 
 from twigrank.model import PatternError, parse_pattern
-from twigrank.operators.kernel import Candidates, Counters, exhaustive, guided
+from twigrank.operators.kernel import Candidates, Counters, exhaustive, guided, spine_first, violations
 
 PHOTO = parse_pattern("(u3:user)-(g1:group)-(u1:user*), (g1)-(ph:photo*), (u3)-(g2:group)-(u2:user*)")
 
@@ -80,6 +80,21 @@ def test_random_graphs_in_order_with_bounds():
             c = Counters()
             assert list(guided(cand, c, k)) == hom[:k] and c.pops == min(k, len(hom))
         assert list(exhaustive(cand, Counters())) == hom
+        assert violations(cand) == []
+        for k in (None, 1, 3):
+            assert list(spine_first(p, cand, Counters(), k)) == hom[:k]
+            assert list(spine_first(p, cand, Counters(), k, injective=True)) == brute(p, labels, arcs, True)[:k]
+
+
+def test_broken_guarantees_are_told():
+    """Floors that are too high for one branch break the order of bounds; a node that leads nowhere is spurious."""
+    rows = [(-1, -1, 1, 0, 2), (0, 1, 2, 1, 1), (0, 1, 3, 2, 2), (1, 1, 4, 1, 1), (1, 1, 5, 3, 3)]
+    p = parse_pattern("(a:x)-(b:y), (a)-(c:z)")
+    frame = lambda rows: pd.DataFrame(rows, columns=["e", "c", "d", "w", "wf"])
+    assert violations(Candidates(p, frame(rows))) == []
+    path = parse_pattern("(a:x)-(b:y)-(c:z)")
+    dead = [(-1, -1, 1, 0, 2), (0, 1, 2, 1, 2), (0, 1, 3, 1, 3), (1, 2, 4, 1, 1)]
+    assert {"no spurious node", "one pop for each match"} & set(violations(Candidates(path, frame(dead))))
 
 
 def test_patterns():

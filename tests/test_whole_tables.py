@@ -1,4 +1,4 @@
-"""Queries over whole tables, where the ones of the shorter name take a part: SQL twins, and streams with late events."""
+"""Queries over whole tables against their SQL twins, and streams with late events."""
 
 import datetime as dt
 from collections import Counter
@@ -11,7 +11,7 @@ from tests.conftest import SMALL
 from twigrank import catalog
 from twigrank.streaming import streams
 
-CHOICE = ["join_range_all", "khop_2_all", "sink_roundtrip_csv_all", "sink_roundtrip_json_all", "sink_roundtrip_orc_all", "sink_roundtrip_parquet_all", "stream_static_join_all", "stream_tumbling_all", "stream_sliding_all", "stream_dedup_all", "stream_interval_join_all"]
+CHOICE = ["join_inner", "join_left_anti", "join_full", "components", "join_range", "khop_2", "sink_roundtrip_csv", "sink_roundtrip_json", "sink_roundtrip_orc", "sink_roundtrip_parquet", "stream_static_join", "stream_tumbling", "stream_sliding", "stream_dedup", "stream_interval_join", "stream_index_merge", "stream_topk", "stream_session", "stream_complete_totals"]
 
 
 @pytest.mark.parametrize("name", CHOICE)
@@ -35,7 +35,7 @@ def sixty_days(spark, tmp_path_factory):
 
 def test_every_day_of_arrival_is_streamed(spark, sixty_days):
     path, rows = sixty_days
-    got = streams.stream_static_join_all(spark, path).collect()
+    got = streams.stream_static_join(spark, path).collect()
     assert sorted(r["event_id"] for r in got) == [r[0] for r in rows]
 
 
@@ -56,6 +56,6 @@ def test_late_events_count_in_open_windows(spark, sixty_days):
         mark = high - dt.timedelta(days=1)
     want = {h: n for h, n in want.items() if h + dt.timedelta(hours=1) <= mark}
     late = [r for r in rows if r[0] % 20 == 0]
-    got = {r["start"]: r["n"] for r in streams.stream_tumbling_all(spark, path).collect()}
+    got = {r["start"]: r["n"] for r in streams.stream_tumbling(spark, path).collect()}
     assert got == want
     assert any(want.get(hour(r[1])) == 2 for r in late)

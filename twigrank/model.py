@@ -76,6 +76,10 @@ class TreePattern:
         keep = [u, *(x for v in self.children(u) if v not in without for x in self.subtree(v).order)]
         return TreePattern({n: self.nodes[n] for n in keep}, tuple(e for e in self.edges if e.parent in keep and e.child in keep), u)
 
+    def restricted(self, names: list[str]) -> "TreePattern":
+        """The pattern of the named nodes only, which must hang together and hold the root."""
+        return TreePattern({n: x for n, x in self.nodes.items() if n in names}, tuple(e for e in self.edges if e.child in names), self.root)
+
     def reroot(self, root: str) -> "TreePattern":
         """The same tree hung from another node; any node may be the root."""
         near: dict[str, list[tuple[str, PEdge]]] = {n: [] for n in self.nodes}
@@ -92,6 +96,10 @@ class TreePattern:
                     todo.append(v)
         return TreePattern(self.nodes, tuple(edges), root)
 
+    def bound_below(self, u: str) -> int:
+        """How many bound nodes u and its branches have."""
+        return int(self.nodes[u].bound) + sum(map(self.bound_below, self.children(u)))
+
     def leaves(self) -> list[str]:
         return [n for n in self.order if not self.children(n)]
 
@@ -187,14 +195,25 @@ class Algebra(Enum):
     MIN = ("min", 1)
 
     def cost(self, w: Column) -> Column:
-        """What is minimised, from an edge weight."""
+        """What is minimised, from an edge weight. A probability of nothing or less gives no cost (null: no such way), one
+        above a million raises when it is met."""
         if self is Algebra.RELIABILITY:
-            return F.round(-F.log(w / F.lit(1e6)) * F.lit(1e9)).cast("long")
+            cost = F.round(-F.log(w / F.lit(1e6)) * F.lit(1e9)).cast("long")
+            return F.when(w > 1_000_000, F.raise_error(F.lit("a probability is above a million millionths")).cast("long")).when(w > 0, cost)
         return -w if self.value[1] < 0 else w
 
     def weight(self, cost: Column) -> Column:
         return -cost if self.value[1] < 0 else cost
 
+    @property
+    def adds(self) -> bool:
+        """Whether costs add up, so that a part can be subtracted from a bound again."""
+        return self.value[0] == "sum"
+
+    @property
+    def sign(self) -> int:
+        return -1 if self.value[1] < 0 else 1
+
     def combine(self, *parts: Column) -> Column:
         parts = [p for p in parts if p is not None]
         if not parts:

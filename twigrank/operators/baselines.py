@@ -15,7 +15,7 @@ from twigrank.plans.storage import stored
 def bulk(cg: CandidateGraph, k: int | None, injective: bool = True) -> DataFrame:
     """Enumerate every match of the reduced graph, then rank."""
     down = sweep_down(cg)
-    pairs = cg.pattern.overlapping_pairs() if injective else []
+    pairs = cg.pairs() if injective else []
     rows = open_frontier(down)
     for level in range(len(cg.pattern.edges)):
         rows = expand(down, rows, level, pairs)
@@ -28,11 +28,8 @@ def spine(index: GraphIndex, pattern: TreePattern, bindings: DataFrame, k: int,
     path instance, with the least weight of each branch added, is no lighter than its k-th match (known_k), or when its
     paths are exhausted."""
     names = pattern.spine()
-    path = pattern.reroot(names[0])
-    while set(path.order) - set(names):  # cut off everything but the path
-        drop = next(n for n in path.leaves() if n not in names)
-        path = TreePattern({n: x for n, x in path.nodes.items() if n != drop}, tuple(e for e in path.edges if e.child != drop), path.root)
-    cursor = AnyK(sweep_up(index, path, bindings))
+    path = pattern.reroot(names[0]).restricted(names)
+    cursor = AnyK(sweep_up(index, path, bindings, keep=True))
     # branches: subtrees below path nodes, once the whole pattern hangs from the path's first node
     whole = pattern.reroot(names[0])
     sides: list[tuple[str, DataFrame, list[str]]] = []

@@ -12,12 +12,14 @@ from twigrank.plans.storage import rows_at_most, stored
 from twigrank.sources.graphs import LabeledGraph
 
 BROADCAST_IDS = 100_000
+MAX_LAYERS = 8
 
 
 @dataclass(frozen=True)
 class GraphIndex:
     arcs: DataFrame
     nodes: DataFrame | None = None
+    layers: int = 0  # updates that lie over the stored arcs
 
     def between(self, pattern: TreePattern, e: PEdge) -> DataFrame:
         """c, d, w: arcs that may match a pattern edge, c for the parent. Types and label prune directories. Where two nodes
@@ -45,8 +47,24 @@ def build_index(graph: LabeledGraph, bucket_table: str | None = None, buckets: i
     return GraphIndex(stored(graph.arcs.select("src", "dst", "w", "dir", "src_type", "dst_type", "elabel"), "src_type", "dst_type", "elabel"), graph.nodes)
 
 
-def apply_delta(arcs: DataFrame, inserts: DataFrame, deletes: DataFrame) -> DataFrame:
-    """arcs without those of deletes (src, dst), then with inserts; parallel arcs keep the least weight."""
-    left = arcs.join(deletes.select("src", "dst"), ["src", "dst"], "left_anti")
-    keys = ["src", "dst", "src_type", "dst_type", "elabel"]
-    return left.select(*keys, "w").union(inserts.select(*keys, "w")).groupBy(*keys).agg(F.min("w").alias("w"))
+KEYS = ["src", "dst", "src_type", "dst_type", "elabel", "dir"]
+
+
+def updated(index: GraphIndex, inserts: DataFrame, deletes: DataFrame | None = None) -> GraphIndex:
+    """The index without the arcs between the ends (src, dst) in deletes, then with inserts (arcs, both ways); parallel arcs
+    keep the least weight. Only the arcs of the ends that change are written; the index reads them over those that it had.
+    After MAX_LAYERS updates the layers are written as one."""
+    fresh = inserts.groupBy(*KEYS).agg(F.min("w").alias("w"))
+    ends = fresh.select("src", "dst")
+    if deletes is not None:
+        ends = ends.union(deletes.select("src", "dst"))
+    ends = stored(ends.distinct())
+    few = F.broadcast(ends) if rows_at_most(ends, BROADCAST_IDS) else ends
+    before = index.arcs.join(few, ["src", "dst"], "left_semi")
+    if deletes is not None:
+        before = before.join(deletes.select("src", "dst"), ["src", "dst"], "left_anti")
+    changed = stored(before.select(*KEYS, "w").unionByName(fresh).groupBy(*KEYS).agg(F.min("w").alias("w")))
+    arcs = index.arcs.join(few, ["src", "dst"], "left_anti").select(*KEYS, "w").unionByName(changed)
+    if index.layers < MAX_LAYERS:
+        return GraphIndex(arcs, index.nodes, index.layers + 1)
+    return GraphIndex(stored(arcs, "src_type", "dst_type", "elabel"), index.nodes)

@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 from twigrank.operators import kernel, search, sweep
 from twigrank.operators.kernel import Candidates, Counters, candidate_rows, exhaustive, guided
 from twigrank.operators.sweep import CandidateGraph
+from twigrank.plans.storage import stored
 
 
 def graph_stats(arcs: DataFrame) -> DataFrame:
@@ -37,19 +38,62 @@ def candidate_size(cg: CandidateGraph) -> DataFrame:
     return candidate_rows(cg).where("e >= 0").groupBy("qid").agg(F.count("*").alias("links"))
 
 
+NAMES = ("pops", "pushes", "max_partials", "max_nodes", "total_partials", "total_nodes", "results", "out_degree", "us")
+
+
 def counters_by_method(ctx, templates: dict, size: int, k: int = 5) -> DataFrame:
-    """Mean counters of the queue search (in hand and plain) and of enumeration, for each template."""
+    """Mean counters and search time of the queue search (in hand and plain), of enumeration and of path-first search, for
+    each template."""
     out = None
-    names = ("pops", "pushes", "max_partials", "max_nodes", "total_partials", "total_nodes", "results", "out_degree")
     for t, p in templates.items():
-        cg = sweep.sweep_down(ctx.candidates(p, size))
-        for name, method, in_hand in (("guided", "guided", True), ("guided plain", "guided", False), ("bulk", "bulk", True)):
-            row = kernel.counters(cg, k, method, True, in_hand).agg(F.count("*").alias("queries"), *[F.round(F.avg(x), 2).alias(x) for x in names])
+        cg = sweep.sweep_down(ctx.candidates(p, size, injective=True, keep=True))
+        kinds = (("guided", "guided", True), ("guided plain", "guided", False), ("bulk", "bulk", True), ("spine", "spine", True))
+        for name, method, in_hand in kinds:
+            rows = kernel.spine_rows(ctx.index, p, ctx.bindings(p, size)) if method == "spine" else None
+            row = kernel.counters(cg, k, method, True, in_hand, rows).agg(F.count("*").alias("queries"), *[F.round(F.avg(x), 2).alias(x) for x in NAMES])
             row = row.select(F.lit(t).alias("template"), F.lit(name).alias("method"), F.lit(k).alias("k"), "*")
             out = row if out is None else out.union(row)
     return out
 
 
+def easy_and_hard(ctx, pattern, size: int, k: int = 5) -> DataFrame:
+    """bucket (1-2, 3-99, 100 and more injective matches), method, queries, and the mean time and counters of each class."""
+    cg = sweep.sweep_down(ctx.candidates(pattern, size, injective=True, keep=True))
+    n, out = F.col("_n"), None
+    bulk = kernel.counters(cg, None, "bulk").select("qid", F.col("results").alias("_n"))
+    bucket = F.when(n <= 2, "1-2").when(n < 100, "3-99").otherwise("100+")
+    bulk = stored(bulk.where("_n > 0").select("qid", bucket.alias("bucket")))
+    for method in ("guided", "bulk", "spine"):
+        rows = kernel.spine_rows(ctx.index, pattern, ctx.bindings(pattern, size)) if method == "spine" else None
+        own = kernel.counters(cg, k, method, rows=rows).join(bulk, "qid")
+        own = own.groupBy("bucket").agg(F.count("*").alias("queries"), *[F.round(F.avg(x), 2).alias(x) for x in ("us", "max_nodes", "total_nodes")])
+        own = own.select("bucket", F.lit(method).alias("method"), "queries", "us", "max_nodes", "total_nodes")
+        out = own if out is None else out.union(own)
+    return out
+
+
+def time_to_k(cg: CandidateGraph, ks: tuple[int, ...], injective: bool = True) -> DataFrame:
+    """k, queries, guided_us, bulk_us: mean time until the k-th answer (or the last, where there are fewer) of the queue search
+    and of enumeration over the same candidates; k = 0 stands for all answers."""
+    pattern = cg.pattern
+
+    def one(key: tuple, rows: pd.DataFrame) -> pd.DataFrame:
+        cand, out = Candidates(pattern, rows), []
+        marks = {}
+        for name, run in (("guided_us", guided), ("bulk_us", exhaustive)):
+            start, times = time.perf_counter(), []
+            for _ in run(cand, Counters(), None, injective):
+                times.append((time.perf_counter() - start) * 1e6)
+            marks[name] = times or [(time.perf_counter() - start) * 1e6]
+        for k in ks:
+            at = {name: times[min(k, len(times)) - 1 if k else -1] for name, times in marks.items()}
+            out.append({"qid": key[0], "k": k, "results": len(marks["guided_us"]), **at})
+        return pd.DataFrame(out)
+
+    each = candidate_rows(cg).groupBy("qid").applyInPandas(one, "qid int, k int, results long, guided_us double, bulk_us double")
+    return each.groupBy("k").agg(F.count("*").alias("queries"), *[F.round(F.avg(x), 1).alias(x) for x in ("results", "guided_us", "bulk_us")])
+
+
 def answer_gaps(cg: CandidateGraph, injective: bool = False) -> DataFrame:
     """qid, results, first_us, mean_us, p95_us, max_us: initial latency of the queue search and gaps between answers."""
     pattern = cg.pattern
@@ -92,16 +136,18 @@ def speedups(runs: DataFrame) -> DataFrame:
 
 
 def by_density(ctx, pattern, size: int, k: int = 5) -> DataFrame:
-    """share of edges kept (by a hash of their ends), links, matches and mean counters of both kernels as the graph gets denser."""
+    """share of edges kept (by a hash of their ends), matches, mean time and counters of the kernels as the graph gets denser."""
     from twigrank.operators.index import GraphIndex
 
     out = None
     for share in (25, 50, 100):
         keep = F.pmod(F.xxhash64(F.least("src", "dst"), F.greatest("src", "dst")), F.lit(100)) < share
         thin = GraphIndex(ctx.index.arcs.where(keep), ctx.index.nodes)
-        cg = sweep.sweep_down(sweep.sweep_up(thin, pattern, ctx.bindings(pattern, size)))
-        for name in ("guided", "bulk"):
-            row = kernel.counters(cg, k, name, True).agg(F.count("*").alias("queries"), F.sum("results").alias("results"), F.round(F.avg("total_nodes"), 2).alias("total_nodes"), F.round(F.avg("max_nodes"), 2).alias("max_nodes"))
+        bindings = ctx.bindings(pattern, size)
+        cg = sweep.sweep_down(sweep.sweep_up(thin, pattern, bindings, injective=True, keep=True))
+        for name in ("guided", "bulk", "spine"):
+            rows = kernel.spine_rows(thin, pattern, bindings) if name == "spine" else None
+            row = kernel.counters(cg, k, name, True, rows=rows).agg(F.count("*").alias("queries"), F.sum("results").alias("results"), *[F.round(F.avg(x), 2).alias(x) for x in ("total_nodes", "max_nodes", "us")])
             row = row.select(F.lit(share).alias("edge_share"), F.lit(name).alias("method"), "*")
             out = row if out is None else out.union(row)
     return out

@@ -5,21 +5,27 @@ opened; its bound combines them and is exact, so a partial match is worth expand
 level: each of k better ones has a completion at its own bound that comes first. Levels are cut by (bound, n0, n1, ..);
 weights are whole numbers, so the order is total and the cut is exact for homomorphic matches. What a page cuts off is
 kept as the deferred frontier, from which the next page goes on. With injective matches a kept partial may die, so a
-page is certified: only rows before the least bound that was cut are final, and the beam doubles until enough are.
+page is certified: only rows before the first partial that waits, in the order of (bound, n0, n1, ..), are final, and the
+frontier of the queries that lack some goes on with a beam of four times the size.
 """
 
 from __future__ import annotations
 
 import time
+from collections.abc import Callable
+from functools import reduce
 
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from twigrank.model import TreePattern
-from twigrank.operators.sweep import CandidateGraph, fixed
+from twigrank.operators.sweep import CandidateGraph, fixed, only
 from twigrank.plans.storage import stored
 
 
+LEAST = -(1 << 63)
+
+
 def with_qid(df: DataFrame) -> DataFrame:
     return df if "qid" in df.columns else df.withColumn("qid", F.lit(0))
 
@@ -59,7 +65,8 @@ def expand(cg: CandidateGraph, frontier: DataFrame, level: int, injective: list[
             df = df.where(F.col(f"n{i}") != F.col(f"n{j}"))
     df = df.withColumn("spent", cg.algebra.combine(F.col("spent"), F.col("_w")) if "spent" in df.columns else F.col("_w")).drop("_w")
     floors = sorted(c for c in df.columns if c.startswith("f_"))
-    df = df.select("qid", *[f"n{i}" for i in range(v + 1)], "spent", *floors)
+    kept = [c for c in ("cut",) if c in df.columns]
+    df = df.select("qid", *[f"n{i}" for i in range(v + 1)], "spent", *floors, *kept)
     return df.withColumn("bound", bound_of(cg, df))
 
 
@@ -69,61 +76,91 @@ def ranked(df: DataFrame, k: int) -> DataFrame:
     return df.withColumn("_r", F.row_number().over(by)).where(F.col("_r") <= k)
 
 
-def answers(cg: CandidateGraph, df: DataFrame, k: int | None, first: int = 0) -> DataFrame:
+def numbered(df: DataFrame, names: list[str]) -> DataFrame:
+    """df with the rank of each row in its query, over any number of rows: a range sort, and for each query the number of
+    its rows in earlier parts. No task gets a query's rows."""
+    parts = df.repartitionByRange("qid", "bound", *names).sortWithinPartitions("qid", "bound", *names)
+    rows = stored(parts.withColumn("_at", F.monotonically_increasing_id()).withColumn("_part", F.shiftright("_at", 33)))
+    each = rows.groupBy("qid", "_part").agg(F.count("*").alias("_n"), F.min("_at").alias("_first"))
+    before = F.sum("_n").over(Window.partitionBy("qid").orderBy("_part").rowsBetween(Window.unboundedPreceding, -1))
+    each = each.select("qid", "_part", "_first", F.coalesce(before, F.lit(0)).alias("_before"))
+    return rows.join(each, ["qid", "_part"]).withColumn("rank", (F.col("_at") - F.col("_first") + F.col("_before") + 1).cast("int")).drop("_at", "_part", "_first", "_before")
+
+
+def answers(cg: CandidateGraph, df: DataFrame, k: int | None) -> DataFrame:
     """qid, rank, weight, n0.. from complete rows."""
     names = [f"n{i}" for i in range(len(cg.pattern.order))]
-    by = Window.partitionBy("qid").orderBy("bound", *names)
-    df = df.withColumn("rank", F.row_number().over(by) + first)
-    if k is not None:
-        df = df.where(F.col("rank") <= first + k)
+    if k is None:
+        df = numbered(df, names)
+    else:
+        df = df.withColumn("rank", F.row_number().over(Window.partitionBy("qid").orderBy("bound", *names))).where(F.col("rank") <= k)
     return df.select("qid", "rank", cg.algebra.weight(F.col("bound")).alias("weight"), *names)
 
 
 def topk(cg: CandidateGraph, k: int) -> DataFrame:
-    """The k lightest homomorphic matches of each query, by level cuts."""
+    """The k lightest homomorphic matches of each query, by level cuts. A level that binds a node of the query itself has
+    no more rows than the one before, and is not cut again."""
     frontier = ranked(open_frontier(cg), k).drop("_r")
-    for level in range(len(cg.pattern.edges)):
-        frontier = ranked(expand(cg, frontier, level, []), k).drop("_r")
+    for level, v in enumerate(cg.pattern.order[1:]):
+        frontier = expand(cg, frontier, level, [])
+        if not cg.pattern.nodes[v].bound:
+            frontier = ranked(frontier, k).drop("_r")
     return answers(cg, frontier, k)
 
 
-def topk_iso(cg: CandidateGraph, k: int, beam: int | None = None, max_rounds: int = 24) -> DataFrame:
-    """The k lightest injective matches of each query. Where no two pattern nodes can be one graph node this is `topk`;
-    else beams grow fourfold for the queries that lack certified rows until none does."""
-    pairs = cg.pattern.overlapping_pairs()
+def precut(cg: CandidateGraph, k: int) -> CandidateGraph:
+    """cg with the k lightest links of each parent only, by weight with all below, then child: enough for the k lightest
+    homomorphic matches where costs add up (other algebras raise: a bound that another branch decides ties heavier links)."""
+    if not cg.algebra.adds:
+        raise ValueError(f"links are cut for sums only, not for {cg.algebra}")
+
+    def lightest(v: str) -> DataFrame:
+        by = Window.partitionBy(*cg.keys(cg.pattern.edge_to(v).child)).orderBy("wf", "d")
+        return cg.link[v].withColumn("_r", F.row_number().over(by)).where(F.col("_r") <= k).drop("_r")
+
+    return CandidateGraph(cg.pattern, cg.algebra, cg.reach, {v: lightest(v) for v in cg.link}, cg.node_weight, cg.injective)
+
+
+def topk_iso(cg: CandidateGraph, k: int, beam: int | None = None) -> DataFrame:
+    """The k lightest injective matches of each query: `topk` where no two unbound pattern nodes can be one graph node.
+
+    Else one plan keeps `beam` partials (16 k, if not given) a query and level, each with the place of the first partial that
+    was cut so far; matches before it are final. Queries that lack some go to the injective cursor."""
+    pairs = cg.pairs()
     if not pairs:
         return topk(cg, k)
-    cg = fixed(cg)  # several rounds over one reduction
-    done, asked, beam = None, None, beam or 8 * k
-    for _ in range(max_rounds):
-        frontier = ranked(keep(open_frontier(cg), asked), beam + 1)
-        cuts = frontier.where(F.col("_r") > beam).select("qid", "bound")
-        frontier = frontier.where(F.col("_r") <= beam).drop("_r")
-        for level in range(len(cg.pattern.edges)):
-            grown = ranked(expand(cg, frontier, level, pairs), beam + 1)
-            cuts = cuts.union(grown.where(F.col("_r") > beam).select("qid", "bound"))
-            frontier = grown.where(F.col("_r") <= beam).drop("_r")
-        least = cuts.groupBy("qid").agg(F.min("bound").alias("cut"))
-        both = stored(frontier.join(least, "qid", "left").unionByName(least.join(frontier, "qid", "left_anti").select("qid", "cut"), allowMissingColumns=True))
-        final = both.where(F.col("n0").isNotNull() & (F.col("cut").isNull() | (F.col("bound") < F.col("cut"))))
-        state = both.groupBy("qid").agg(F.max("cut").alias("cut"), F.sum(F.when(F.col("n0").isNotNull() & (F.col("cut").isNull() | (F.col("bound") < F.col("cut"))), 1).otherwise(0)).alias("certified"))
-        short = state.where(F.col("cut").isNotNull() & (F.col("certified") < k)).select("qid")
-        part = final.join(short, "qid", "left_anti").drop("cut")
-        done = part if done is None else done.union(part.select(*done.columns))
-        asked = stored(short)
-        if asked.isEmpty():
-            return answers(cg, done, k)
-        beam *= 4
-    raise RuntimeError("injective search did not certify its answers")
-
-
-def keep(df: DataFrame, asked: DataFrame | None) -> DataFrame:
-    return df if asked is None else df.join(asked, "qid", "left_semi")
+    beam, depth = beam or 16 * k, len(cg.pattern.edges)
+    roots = open_frontier(cg)
+    frontier = roots.withColumn("cut", F.lit(None).cast("struct<" + ",".join(["bound:bigint", *(f"n{i}:bigint" for i in range(depth + 1))]) + ">"))
+    for level in range(depth + 1):
+        if level:
+            frontier = expand(cg, frontier, level - 1, pairs)
+        if level and cg.pattern.nodes[cg.pattern.order[level]].bound:
+            continue  # no more rows than before
+        kept = ranked(frontier, beam + 1)
+        first_cut = F.max(F.when(F.col("_r") > beam, place_of(level, depth))).over(Window.partitionBy("qid"))
+        frontier = kept.withColumn("cut", F.least("cut", first_cut)).where(F.col("_r") <= beam).drop("_r")
+    names = [f"n{i}" for i in range(depth + 1)]
+    seen = roots.select("qid").distinct()
+    both = stored(frontier.select("qid", "bound", *names, "cut").unionByName(seen, allowMissingColumns=True))
+    final = both.where(F.col("n0").isNotNull() & (F.col("cut").isNull() | (place_of(depth, depth) < F.col("cut"))))
+    # a query is done with k final matches, or if nothing of it was cut; one without any match kept is not known to be
+    state = both.groupBy("qid").agg(F.count("n0").alias("rows"), F.max("cut").alias("cut")).join(final.groupBy("qid").agg(F.count("*").alias("have")), "qid", "left")
+    short = stored(state.where((F.coalesce("have", F.lit(0)) < k) & (F.col("cut").isNotNull() | (F.col("rows") == 0))).select("qid"))
+    if short.isEmpty():
+        return answers(cg, final, k)
+    rest = AnyK(only(cg, short), injective=True).next(k)
+    return answers(cg, final.join(short, "qid", "left_anti"), k).unionByName(rest)
+
+
+def place_of(level: int, depth: int) -> Column:
+    """The place of a row of a level in the order of all rows; a partial stands before all its completions."""
+    return F.struct("bound", *[F.col(f"n{i}") if i <= level else F.lit(LEAST).alias(f"n{i}") for i in range(depth + 1)])
 
 
 def upto(cg: CandidateGraph, limits: DataFrame | int, injective: bool = False) -> DataFrame:
     """All matches whose bound is at most a limit: one number, or (qid, t). No sort until the end, no cut but the limit."""
-    pairs = cg.pattern.overlapping_pairs() if injective else []
+    pairs = cg.pairs() if injective else []
     frontier = open_frontier(cg)
 
     def within(df: DataFrame) -> DataFrame:
@@ -157,70 +194,124 @@ def distinct_subgraphs(pattern: TreePattern, matches: DataFrame) -> DataFrame:
 
 
 class AnyK:
-    """A cursor over the ranked matches of a batch of queries: each page is exact and complete, and goes on where the last
-    one stopped. Cut partials wait in the deferred frontier, one stored table for each level."""
-
-    def __init__(self, cg: CandidateGraph):
-        self.cg, self.given = cg, 0
-        self.deferred: list[DataFrame | None] = [stored(open_frontier(cg))] + [None] * len(cg.pattern.edges)
-
-    def next(self, n: int) -> DataFrame:
-        """The next n matches of each query, ranks counted on."""
-        cg, kept = self.cg, None
-        for level in range(len(cg.pattern.edges) + 1):
-            rows = None if kept is None else expand(cg, kept, level - 1, [])
-            waiting = self.deferred[level]
+    """A cursor over the ranked matches of a batch of queries: each call is exact and complete, and goes on where the last
+    one stopped, however calls are mixed. Cut partials wait in the deferred frontier, one stored table for each level; the
+    last level holds complete matches that were found but not given out yet."""
+
+    def __init__(self, cg: CandidateGraph, injective: bool = False):
+        self.cg, self.pairs = cg if cg.kept else fixed(cg), cg.pairs() if injective else []
+        self.depth = len(cg.pattern.edges)
+        self.deferred: list[DataFrame | None] = [open_frontier(self.cg)] + [None] * self.depth
+        self.given: DataFrame | None = None  # qid, given: matches given out so far
+        self.begun = False
+
+    def place(self, level: int) -> Column:
+        return place_of(level, self.depth)
+
+    def descend(self, keep: Callable[[DataFrame], DataFrame]) -> None:
+        """Expand what `keep` keeps of each level; the rest waits."""
+        kept = None
+        for level in range(self.depth + 1):
+            rows, waiting = None if kept is None else expand(self.cg, kept, level - 1, self.pairs), self.deferred[level]
             if waiting is not None:
                 rows = waiting if rows is None else rows.unionByName(waiting)
-            by = Window.partitionBy("qid").orderBy("bound", *places(rows))
-            rows = stored(rows.withColumn("_r", F.row_number().over(by)))
-            kept = rows.where(F.col("_r") <= n).drop("_r")
-            self.deferred[level] = stored(rows.where(F.col("_r") > n).drop("_r"))
-        out = answers(cg, kept, n, self.given)
-        self.given += n
-        return out
+            if level == self.depth:
+                self.deferred[level], self.begun = stored(rows), True
+                return
+            if level or self.begun:  # the roots are stored already
+                rows = stored(rows)
+            kept = stored(keep(rows).select(rows.columns))
+            self.deferred[level] = self.after(rows, kept, level)
+
+    def after(self, rows: DataFrame, kept: DataFrame, level: int) -> DataFrame:
+        """The rows that come after the kept ones of their query."""
+        last = kept.groupBy("qid").agg(F.max(self.place(level)).alias("_last"))
+        return rows.join(last, "qid", "left").where(F.col("_last").isNull() | (self.place(level) > F.col("_last"))).drop("_last")
+
+    def first_waiting(self) -> DataFrame:
+        """qid, cut: the place of the first partial that waits."""
+        parts = [df.groupBy("qid").agg(F.min(self.place(level)).alias("cut")) for level, df in enumerate(self.deferred[:-1]) if df is not None]
+        return reduce(DataFrame.unionByName, parts).groupBy("qid").agg(F.min("cut").alias("cut"))
+
+    def next(self, n: int, max_rounds: int = 40) -> DataFrame:
+        """The next n matches of each query, ranks counted on."""
+        asked, beam = None, n * 16 if self.pairs else n
+        for _ in range(max_rounds):
+            mine = asked
+            self.descend(lambda rows: ranked(rows if mine is None else rows.join(mine, "qid", "left_semi"), beam))
+            if not self.pairs:
+                final = self.deferred[-1]
+                break
+            ready = self.deferred[-1].join(cut := stored(self.first_waiting()), "qid", "left")
+            final = ready.where(F.col("cut").isNull() | (self.place(self.depth) < F.col("cut"))).drop("cut")
+            have = final.groupBy("qid").agg(F.count("*").alias("have"))
+            asked = stored(cut.join(have, "qid", "left").where(F.coalesce("have", F.lit(0)) < n).select("qid"))
+            if asked.isEmpty():
+                break
+            beam *= 4
+        else:
+            raise RuntimeError("injective search did not certify its answers")
+        return self.give(ranked(final, n))
+
+    def give(self, rows: DataFrame) -> DataFrame:
+        """rows with _r, complete and final, as answers; the others stay ready."""
+        page = stored(rows)
+        self.deferred[-1] = self.after(self.deferred[-1], page.drop("_r"), self.depth)
+        names = [f"n{i}" for i in range(self.depth + 1)]
+        before = F.lit(0)
+        if self.given is not None:
+            page, before = page.join(self.given, "qid", "left"), F.coalesce("given", F.lit(0))
+        page = page.withColumn("rank", (F.col("_r") + before).cast("int"))
+        now = page.groupBy("qid").agg(F.max("rank").alias("given"))
+        self.given = stored(now if self.given is None else now.unionByName(self.given).groupBy("qid").agg(F.max("given").alias("given")))
+        return page.select("qid", "rank", self.cg.algebra.weight(F.col("bound")).alias("weight"), *names)
+
+    def until(self, weight: int | None) -> DataFrame:
+        """All further matches up to this weight (for heaviest-first orders: down to it; None: whatever is left)."""
+        within = F.lit(True) if weight is None else F.col("bound") <= weight * self.cg.algebra.sign
+        self.descend(lambda rows: rows.where(within))
+        found = numbered(self.deferred[-1].where(within), [f"n{i}" for i in range(self.depth + 1)])
+        return self.give(found.withColumnRenamed("rank", "_r"))
 
-    def until(self, weight: int, page: int = 64) -> DataFrame:
-        """All further matches of at most this weight, page by page while some query may have more."""
-        out = None
-        while True:
-            rows = self.next(page)
-            part = rows.where(F.col("weight") <= weight)
-            out = part if out is None else out.union(part)
-            if self.exhausted() or rows.where((F.col("rank") == self.given) & (F.col("weight") <= weight)).isEmpty():
-                return out
+    def all(self) -> DataFrame:
+        """Everything that is left, by one join chain without cuts."""
+        return self.until(None)
 
     def for_time(self, seconds: float, page: int = 1) -> DataFrame:
         """Pages of doubling size until the time is over; what is returned is a certified prefix for every query."""
         end, out = time.monotonic() + seconds, None
         while out is None or (time.monotonic() < end and not self.exhausted()):
-            rows = stored(self.next(page))
+            rows = self.next(page)
             out, page = rows if out is None else out.union(rows), page * 2
         return out
 
-    def all(self) -> DataFrame:
-        """Everything that is left, by one join chain without cuts."""
-        cg, rows = self.cg, None
-        for level in range(len(cg.pattern.edges) + 1):
-            rows = None if rows is None else expand(cg, rows, level - 1, [])
-            waiting = self.deferred[level]
-            if waiting is not None:
-                rows = waiting if rows is None else rows.unionByName(waiting)
-        self.deferred = [None] * len(self.deferred)
-        return answers(cg, rows, None, self.given)
-
     def exhausted(self) -> bool:
         return all(d is None or d.isEmpty() for d in self.deferred)
 
     def __iter__(self):
-        """Rows of a single query, one after another, in pages of doubling size."""
+        """Rows of a single query, one after another, in pages of doubling size. Rows of a page that are not taken go back."""
         page = 1
         while True:
             rows = self.next(page).orderBy("rank").collect()  # at most one page
-            yield from rows
+            at = 0
+            try:
+                for at, row in enumerate(rows, 1):
+                    yield row
+            finally:
+                self.put_back(rows[at:])
             if len(rows) < page:
                 return
             page = min(page * 2, 4096)
 
+    def put_back(self, rows: list) -> None:
+        """Rows that were given out last, of one query, are ready again."""
+        if rows:
+            spark, ready = self.cg.reach[self.cg.pattern.root].sparkSession, self.deferred[-1]
+            sign, names = self.cg.algebra.sign, [f"n{i}" for i in range(self.depth + 1)]
+            table = [(r["qid"], *(r[x] for x in names), r["weight"] * sign, r["weight"] * sign) for r in rows]
+            back = spark.createDataFrame(table, "qid int, " + ", ".join(f"{x} long" for x in names) + ", spent long, bound long")
+            self.deferred[-1] = stored(ready.unionByName(back.select(ready.columns)))
+            self.given = stored(self.given.withColumn("given", F.when(F.col("qid") == rows[0]["qid"], F.lit(rows[0]["rank"] - 1)).otherwise(F.col("given"))))
+
     def close(self) -> None:
         self.deferred = [None] * len(self.deferred)

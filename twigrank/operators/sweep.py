@@ -1,8 +1,12 @@
 """The reduction: an up-sweep that fuses semi-joins with cheapest completions, and a down-sweep that drops the rest.
 
+With `injective`, queries that bind two pattern nodes to one graph node are left out, and nodes that a query binds elsewhere
+in the pattern are no candidates of others; only pairs of unbound nodes are then left for the search to check.
+
 Tables: reach[u] = (qid?, c, m_<child>.., floor); link[v] = (qid?, c, d, w, wf, f_<child of v>..) for the edge from v's
 parent, with w the edge's cost, wf its cost with everything below d. A branch without bound nodes has no qid: it is the
-same for all queries and is computed once.
+same for all queries and is computed once. link[v] holds only nodes c that earlier, more selective branches of the parent
+have kept, where there are such branches.
 """
 
 from __future__ import annotations
@@ -14,7 +18,10 @@ from pyspark.sql import functions as F
 
 from twigrank.model import Algebra, TreePattern
 from twigrank.operators.index import GraphIndex
-from twigrank.plans.storage import stored
+from twigrank.plans.storage import rows_at_most, stored
+
+#: Candidates of a node, from its selective branches, that are sent to all tasks to prune the arcs of the others.
+FEW = 500_000
 
 
 @dataclass
@@ -24,11 +31,24 @@ class CandidateGraph:
     reach: dict[str, DataFrame]
     link: dict[str, DataFrame]
     node_weight: bool = False
+    injective: bool = False
+    kept: bool = False  # links and roots are stored
+
+    def pairs(self) -> list[tuple[int, int]]:
+        """Places that one graph node could still serve both, to be checked by an injective search."""
+        return unbound_pairs(self.pattern) if self.injective else self.pattern.overlapping_pairs()
 
     def keys(self, u: str) -> list[str]:
         return ["qid", "c"] if self.pattern.depends_on_query(u) else ["c"]
 
 
+def unbound_pairs(pattern: TreePattern) -> list[tuple[int, int]]:
+    """Of the places that one graph node could serve both, those that an injective sweep doesn't keep apart."""
+    bound = lambda a, b: pattern.nodes[a].bound and pattern.depends_on_query(b)
+    order = pattern.order
+    return [(i, j) for i, j in pattern.overlapping_pairs() if not (bound(order[i], order[j]) or bound(order[j], order[i]))]
+
+
 def demands(index: GraphIndex, pattern: TreePattern, u: str, df: DataFrame) -> DataFrame:
     """df (with column c) reduced to nodes that meet u's further demands."""
     p = pattern.nodes[u]
@@ -62,35 +82,58 @@ def own_weight(index: GraphIndex, df: DataFrame, algebra: Algebra) -> DataFrame:
     return df.join(nodes, "c", "left").withColumn("own", F.coalesce("own", F.lit(0)).cast("long"))
 
 
-def sweep_up(index: GraphIndex, pattern: TreePattern, bindings: DataFrame, algebra: Algebra = Algebra.SUM, node_weight: bool = False) -> CandidateGraph:
+def clashing(pattern: TreePattern, bindings: DataFrame) -> DataFrame:
+    """qid of queries that bind two pattern nodes to one graph node."""
+    a, b = bindings.select("qid", "node_id", F.col("pnode").alias("a")), bindings.select("qid", "node_id", F.col("pnode").alias("b"))
+    return a.join(b, ["qid", "node_id"]).where("a < b").select("qid").distinct()
+
+
+def sweep_up(index: GraphIndex, pattern: TreePattern, bindings: DataFrame, algebra: Algebra = Algebra.SUM, node_weight: bool = False, injective: bool = False, keep: bool = False) -> CandidateGraph:
     """Reach and link tables of all pattern nodes, from the leaves up. Branch minima are aggregated before siblings meet:
-    the inner join of the aggregates is the intersection of the branches, and needs no exchange of its own."""
-    cg = CandidateGraph(pattern, algebra, {}, {}, node_weight)
+    the inner join of the aggregates is the intersection of the branches, and needs no exchange of its own. Branches with
+    the most bound nodes come first; what they leave of the parent's candidates, if it is little, prunes the arcs of the
+    other branches before these are joined. With `keep` links and roots are stored as they are found, for several passes."""
+    cg = CandidateGraph(pattern, algebra, {}, {}, node_weight, injective, keep)
+    if injective and any(pattern.nodes[x].bound and pattern.nodes[y].bound for x in pattern.order for y in pattern.order if x < y):
+        bindings = bindings.join(clashing(pattern, bindings), "qid", "left_anti")
     for u in reversed(pattern.order):
-        kids = pattern.children(u)
+        kids = sorted(pattern.children(u), key=lambda v: (bool(pattern.children(v)) or not pattern.nodes[v].bound, -pattern.bound_below(v), pattern.place(v)))
         if not kids:
             base = seed(index, pattern, u, bindings)
         else:
-            base = None
+            base, few = None, False
             for v in kids:
                 key = cg.keys(v)
                 floors = [F.col(f"m_{x}").alias(f"f_{x}") for x in pattern.children(v)]
                 below = cg.reach[v].select(*[k for k in key if k != "c"], F.col("c").alias("d"), F.col("floor").alias("_floor"), F.col("own").alias("_own"), *floors)
-                arcs = index.between(pattern, pattern.edge_to(v)).withColumn("w", algebra.cost(F.col("w")))
+                arcs = index.between(pattern, pattern.edge_to(v)).withColumn("w", algebra.cost(F.col("w"))).where("w is not null")
+                if few and pattern.children(v):  # candidates of u first, so that few arcs meet the branch
+                    own = base.select(*key) if "qid" in key else base.select("c").distinct()
+                    arcs = arcs.join(F.broadcast(own), "c")
+                link = arcs.join(below, [k for k in ("qid", "d") if k in arcs.columns and k in below.columns])
                 # the node weight of d goes with the edge that reaches it
-                link = arcs.join(below, "d").withColumn("w", F.col("w") + F.col("_own") if node_weight else F.col("w"))
+                link = link.withColumn("w", F.col("w") + F.col("_own") if node_weight else F.col("w"))
                 rest = None if not pattern.children(v) else F.col("_floor")
-                cg.link[v] = link.withColumn("wf", algebra.combine(F.col("w"), rest)).drop("_floor", "_own")
+                link = link.withColumn("wf", algebra.combine(F.col("w"), rest)).drop("_floor", "_own")
+                link = link.select(*key, "d", "w", "wf", *[f"f_{x}" for x in pattern.children(v)])
+                cg.link[v] = stored(link) if keep else link
                 least = cg.link[v].groupBy(*key).agg(F.min("wf").alias(f"m_{v}"))
                 base = least if base is None else base.join(least, [k for k in key if k in base.columns], "inner")
+                if v != kids[-1] and not few and (pattern.bound_below(v) > 1 or pattern.nodes[v].bound):
+                    base = stored(base)
+                    few = rows_at_most(base, FEW)
             if pattern.nodes[u].bound:  # an inner or root node may be bound as well
                 own = bindings.where(F.col("pnode") == u).select("qid", F.col("node_id").alias("c")).distinct()
                 base = base.join(own, [k for k in ("qid", "c") if k in base.columns])
             base = demands(index, pattern, u, base)
-        floor = algebra.combine(*[F.col(f"m_{v}") for v in kids])
+        if injective and "qid" in base.columns and not pattern.nodes[u].bound:
+            taken = [x for x in pattern.order if pattern.nodes[x].bound and pattern.nodes[x].ntype == pattern.nodes[u].ntype]
+            if taken:
+                base = base.join(bindings.where(F.col("pnode").isin(taken)).select("qid", F.col("node_id").alias("c")).distinct(), ["qid", "c"], "left_anti")
+        floor = algebra.combine(*[F.col(f"m_{v}") for v in pattern.children(u)])
         base = base.withColumn("floor", floor)
         base = own_weight(index, base, algebra) if node_weight else base.withColumn("own", F.lit(0).cast("long"))
-        cg.reach[u] = base
+        cg.reach[u] = stored(base) if keep and u == pattern.root else base
     return cg
 
 
@@ -104,12 +147,18 @@ def sweep_down(cg: CandidateGraph) -> CandidateGraph:
         key = [k for k in cg.keys(v) if k != "c"]
         used = link[v].select(*key, F.col("d").alias("c")).distinct()
         reach[v] = cg.reach[v].join(used, [*key, "c"], "left_semi")
-    return CandidateGraph(pattern, cg.algebra, reach, link, cg.node_weight)
+    return CandidateGraph(pattern, cg.algebra, reach, link, cg.node_weight, cg.injective)
 
 
 def fixed(cg: CandidateGraph) -> CandidateGraph:
     """cg with its links stored, for several pages or methods over one reduction."""
-    return CandidateGraph(cg.pattern, cg.algebra, {cg.pattern.root: stored(cg.reach[cg.pattern.root])} | {u: df for u, df in cg.reach.items() if u != cg.pattern.root}, {v: stored(df) for v, df in cg.link.items()}, cg.node_weight)
+    return CandidateGraph(cg.pattern, cg.algebra, {cg.pattern.root: stored(cg.reach[cg.pattern.root])} | {u: df for u, df in cg.reach.items() if u != cg.pattern.root}, {v: stored(df) for v, df in cg.link.items()}, cg.node_weight, cg.injective, True)
+
+
+def only(cg: CandidateGraph, queries: DataFrame) -> CandidateGraph:
+    """cg for some of its queries (qid)."""
+    own = lambda df: df.join(queries, "qid", "left_semi") if "qid" in df.columns else df
+    return CandidateGraph(cg.pattern, cg.algebra, {u: own(df) for u, df in cg.reach.items()}, {v: own(df) for v, df in cg.link.items()}, cg.node_weight, cg.injective)
 
 
 def count_matches(cg: CandidateGraph) -> DataFrame:

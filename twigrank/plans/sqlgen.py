@@ -86,30 +86,44 @@ def cost(algebra: Algebra, w: str) -> str:
 def tree_join(pattern: TreePattern, algebra: Algebra = Algebra.SUM, injective: bool = True, node_weight: bool = False, arcs: str = "arcs", bindings: str = "bindings") -> str:
     """qid, weight (as a cost), n0..: all matches, one join for each pattern edge."""
     at = pattern.place
-    tables, where, costs = [], [], []
-    for i, e in enumerate(pattern.preorder_edges(), 1):
+    place = {e.child: i for i, e in enumerate(pattern.preorder_edges(), 1)}
+    spot = {n: "e1.src" if i == 0 else f"e{i}.dst" for i, n in enumerate(pattern.order)}
+    tables, where, costs, qids = [], [], [], []
+
+    def bind(n: str) -> None:
+        if pattern.nodes[n].bound:
+            tables.append(f"{bindings} b_{n}")
+            where.extend([f"b_{n}.pnode = '{n}'", f"b_{n}.node_id = {spot[n]}"] + ([f"b_{n}.qid = {qids[0]}"] if qids else []))
+            qids.append(f"b_{n}.qid")
+
+    # edges as a walk from a bound node meets them, so that joins in this order begin with what the queries bind
+    start = next((n for n in pattern.order if pattern.nodes[n].bound and pattern.leaves() != [n]), pattern.root)
+    bind(start)
+    tree = pattern.reroot(start)
+
+    def walk(u: str):
+        for v in sorted(tree.children(u), key=lambda v: (not tree.nodes[v].bound, tree.place(v))):
+            yield u, v
+            yield from walk(v)
+
+    for here, there in walk(start):
+        child = there if there in place and pattern.edge_to(there).parent == here else here
+        e, i = pattern.edge_to(child), place[child]
         p, c = pattern.nodes[e.parent], pattern.nodes[e.child]
         tables.append(f"{arcs} e{i}")
         where += [f"e{i}.src_type = '{p.ntype}'", f"e{i}.dst_type = '{c.ntype}'"]
-        up = f"e{i}.src"
         if at(e.parent):
-            where.append(f"{up} = e{at(e.parent)}.dst")
+            where.append(f"e{i}.src = e{at(e.parent)}.dst")
         elif i > 1:
-            where.append(f"{up} = e1.src")
+            where.append(f"e{i}.src = e1.src")
         if e.elabel:
             where.append(f"e{i}.elabel = '{e.elabel}'")
         if e.direction:
             where.append(f"e{i}.dir = {1 if e.direction == 'out' else -1}")
-        costs.append(cost(algebra, f"e{i}.w"))
-    spot = {n: "e1.src" if i == 0 else f"e{i}.dst" for i, n in enumerate(pattern.order)}
-    qids = []
+        bind(there)
+    costs = [cost(algebra, f"e{i}.w") for i in range(1, len(pattern.order))]
     for n in pattern.order:
         x = pattern.nodes[n]
-        if x.bound:
-            tables.append(f"{bindings} b_{n}")
-            where += [f"b_{n}.pnode = '{n}'", f"b_{n}.node_id = {spot[n]}"]
-            where += [f"b_{n}.qid = {qids[0]}"] if qids else []
-            qids.append(f"b_{n}.qid")
         if x.ids is not None:
             where.append(f"{spot[n]} IN ({', '.join(map(str, x.ids))})")
         for label in x.labels_all:
@@ -121,7 +135,8 @@ def tree_join(pattern: TreePattern, algebra: Algebra = Algebra.SUM, injective: b
             where.append(f"v_{n}.id = {spot[n]}")
             costs.append(cost(algebra, f"v_{n}.nweight"))
     if injective:
-        where += [f"{spot[pattern.order[i]]} <> {spot[pattern.order[j]]}" for i, j in pattern.overlapping_pairs()]
+        own = {n: f"b_{n}.node_id" if pattern.nodes[n].bound else x for n, x in spot.items()}
+        where += [f"{own[pattern.order[i]]} <> {own[pattern.order[j]]}" for i, j in pattern.overlapping_pairs()]
     kind = {"sum": "({})", "max": "greatest({})", "min": "least({})"}["min" if algebra is Algebra.MAX_MAX else algebra.value[0]]
     total = kind.format((" + " if algebra.value[0] == "sum" else ", ").join(costs))
     cols = ", ".join(f"{spot[n]} AS n{i}" for i, n in enumerate(pattern.order))

@@ -9,9 +9,11 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors reach: spark.checkpoint.dir, or a local one of ours where it is unset (tests)."""
+    """The folder all executors reach: spark.checkpoint.dir, or one of ours where it is unset and all runs in one process (tests)."""
     folder = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not folder:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors reach")
         folder = tempfile.mkdtemp(prefix="twigrank-")
         spark.sparkContext.setCheckpointDir(folder)
     return folder

@@ -9,16 +9,17 @@ from __future__ import annotations
 
 import time
 from collections.abc import Callable
-from functools import lru_cache
+from functools import lru_cache, reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from twigrank.model import TreePattern, parse_pattern
 from twigrank.operators import baselines, kernel, search
-from twigrank.operators.index import GraphIndex, build_index
-from twigrank.operators.sweep import CandidateGraph, fixed, sweep_up
+from twigrank.operators.index import BROADCAST_IDS, GraphIndex, build_index
+from twigrank.operators.sweep import CandidateGraph, count_matches, sweep_down, sweep_up
 from twigrank.plans import sqlgen
+from twigrank.plans.storage import stored
 from twigrank.sources import graphs
 from twigrank.sources.graphs import BASE, CODES
 
@@ -63,15 +64,14 @@ TEMPLATES: dict[str, dict[str, str]] = {
 #: For each graph the rank, among the nodes of its type in id order, of the node that query q binds to a pattern node.
 FORMULAS: dict[str, dict[str, str]] = {
     "trade4": {"s": "7 * q", "s2": "11 * q + 1", "s3": "13 * q + 2", "c": "17 * q"},
-    "trade3": {"c": "17 * q", "c2": "19 * q + 1", "p": "23 * q", "p2": "29 * q + 1"},
     "activity": {"k": "7 * q", "k2": "11 * q + 1", "d": "13 * q", "d2": "17 * q + 3", "e": "q"},
     "docs": {"l": "q", "s": "3 * q", "y": "q + 1"},
     "talk": {"r": "q"},
     "web": {"h": "3 * q", "h2": "5 * q + 1"},
     "knn": {"x": "q", "y": "7 * q + 3"},
 }
-SIZES = {"docs": 20, "talk": 3, "web": 60, "knn": 40}
-HEAVY = {("activity", "T2"): 10, ("activity", "T5"): 10, ("activity", "T1"): 30, ("activity", "T4"): 30, ("trade3", "T2"): 60, ("trade3", "T4"): 20, ("trade3", "T5"): 60}
+#: Graphs whose terminals lie around an anchor instead, since queries of unrelated ones have hardly a match.
+ANCHORED = ("trade3", "sparse6")
 BUILDERS: dict[str, Callable[[SparkSession, str], graphs.LabeledGraph]] = {
     "trade4": graphs.trade,
     "trade3": lambda s, d: graphs.trade(s, d, 3),
@@ -93,8 +93,8 @@ def bindings_sql(graph: str, p: TreePattern, size: int, dialect: str) -> str:
     """qid, pnode, node_id: the terminals of queries 0 .. size-1."""
     numbers = f"(SELECT {'range' if dialect == 'duckdb' else 'id'} AS q FROM range({size}))"
     bound = [n for n in p.order if p.nodes[n].bound]
-    if graph == "sparse6":
-        return sparse_bindings(p, bound, numbers)
+    if graph in ANCHORED:
+        return anchored_bindings(graph, p, bound, numbers)
     parts = []
     for n in bound:
         t, f = p.nodes[n].ntype, FORMULAS[graph][n]
@@ -103,20 +103,23 @@ def bindings_sql(graph: str, p: TreePattern, size: int, dialect: str) -> str:
     return " UNION ALL ".join(parts)
 
 
-def sparse_bindings(p: TreePattern, bound: list[str], numbers: str) -> str:
-    """Terminals around an anchor order (the one of rank 50 q), so that a match exists for nearly every query."""
+def anchored_bindings(graph: str, p: TreePattern, bound: list[str], numbers: str) -> str:
+    """Terminals around an anchor order (the one of rank 50 q), so that a match exists for nearly every query: its customer,
+    its first and last part, the customer of that part's last order, and for the sparse graph nation, supplier and others."""
     o0 = CODES["order"] * BASE
-    near = lambda t, u, frm: f"(SELECT src, min(dst) AS lo, max(dst) AS hi FROM arcs WHERE src_type = '{frm}' AND dst_type = '{t}' GROUP BY src) {u}"
-    anchor = (
-        f"(SELECT CAST(q AS BIGINT) AS qid, {o0} + 50 * q AS o, oc.lo AS c, op.lo AS p, cn.lo AS n, ps.lo AS s, co.lo AS o_first, co.hi AS o_last, po.lo AS po_first, po.hi AS po_last, c2.lo AS c2, p2.lo AS p2 FROM {numbers} z "
-        f"JOIN {near('customer', 'oc', 'order')} ON oc.src = {o0} + 50 * q JOIN {near('part', 'op', 'order')} ON op.src = {o0} + 50 * q "
-        f"JOIN {near('nation', 'cn', 'customer')} ON cn.src = oc.lo JOIN {near('supplier', 'ps', 'part')} ON ps.src = op.lo "
-        f"JOIN {near('order', 'co', 'customer')} ON co.src = oc.lo JOIN {near('order', 'po', 'part')} ON po.src = op.lo "
-        f"JOIN {near('customer', 'c2', 'order')} ON c2.src = po.hi JOIN {near('part', 'p2', 'order')} ON p2.src = co.lo) a"
-    )
-    shape = "".join(sorted(bound))
-    column = {"n": "n", "p": "p", "c": "c", "s": "s", "c2": "c2", "o": "o", "p2": "p2", "o2": "o_first" if shape == "noo2" else "po_first"}
-    return " UNION ALL ".join(f"SELECT qid, '{b}' AS pnode, {column[b]} AS node_id FROM {anchor}" for b in bound)
+
+    def near(t: str, name: str, frm: str, at: str) -> str:
+        least = f"(SELECT src, min(dst) AS lo, max(dst) AS hi FROM arcs WHERE src_type = '{frm}' AND dst_type = '{t}' GROUP BY src) {name}"
+        return f"JOIN {least} ON {name}.src = {at}"
+
+    steps = [near("customer", "oc", "order", f"{o0} + 50 * q"), near("part", "op", "order", f"{o0} + 50 * q"), near("order", "po", "part", "op.lo"), near("customer", "c2", "order", "po.hi")]
+    columns = {"c": "oc.lo", "p": "op.lo", "p2": "op.hi", "c2": "c2.lo"}
+    if graph == "sparse6":
+        steps += [near("nation", "cn", "customer", "oc.lo"), near("supplier", "ps", "part", "op.lo"), near("order", "co", "customer", "oc.lo"), near("part", "p2", "order", "co.lo")]
+        o2 = "co.lo" if "".join(sorted(bound)) == "noo2" else "po.lo"
+        columns |= {"n": "cn.lo", "s": "ps.lo", "o": f"{o0} + 50 * q", "p2": "p2.lo", "o2": o2}
+    anchor = f"(SELECT CAST(q AS BIGINT) AS qid, {', '.join(f'{columns[n]} AS {n}_id' for n in bound)} FROM {numbers} z {' '.join(steps)}) a"
+    return " UNION ALL ".join(f"SELECT qid, '{n}' AS pnode, {n}_id AS node_id FROM {anchor}" for n in bound)
 
 
 class Context:
@@ -125,15 +128,43 @@ class Context:
     def __init__(self, spark: SparkSession, sf_dir: str, graph: str):
         self.spark, self.sf_dir, self.graph = spark, sf_dir, graph
         self.index: GraphIndex = build_index(BUILDERS[graph](spark, sf_dir))
-
-    def size(self, template: str) -> int:
-        return HEAVY.get((self.graph, template), SIZES.get(self.graph, BATCH))
+        self._ranks: dict[str, tuple[DataFrame, int]] = {}
+        self._bindings: dict[tuple, DataFrame] = {}
+
+    def ranks(self, ntype: str) -> tuple[DataFrame, int]:
+        """(x, i): the nodes of a type with their ranks in id order, and their number. The ids are range-partitioned; the
+        driver sees the number of rows of each part only."""
+        if ntype not in self._ranks:
+            ids = self.index.arcs.where(F.col("src_type") == ntype).select(F.col("src").alias("x")).distinct()
+            rows = stored(ids.repartitionByRange("x").sortWithinPartitions("x").withColumn("_at", F.monotonically_increasing_id()))
+            part, place = F.shiftright("_at", 33), F.col("_at").bitwiseAND((1 << 33) - 1)
+            sizes = sorted(rows.groupBy(part.alias("part")).count().collect())
+            offsets = [(r["part"], sum(x["count"] for x in sizes[:k])) for k, r in enumerate(sizes)]
+            offsets = self.spark.createDataFrame(offsets, "part long, offset long")
+            ranked = rows.withColumn("part", part).join(F.broadcast(offsets), "part").select("x", (F.col("offset") + place).alias("i"))
+            self._ranks[ntype] = ranked, sum(r["count"] for r in sizes)
+        return self._ranks[ntype]
 
     def bindings(self, p: TreePattern, size: int) -> DataFrame:
-        view = f"arcs_{self.graph}"
-        self.index.arcs.createOrReplaceTempView(view)
-        text = bindings_sql("trade4" if self.graph == "flags" else self.graph, p, size, "spark").replace("FROM arcs ", f"FROM {view} ")
-        return self.spark.sql(text).select(F.col("qid").cast("int").alias("qid"), "pnode", F.col("node_id").cast("long").alias("node_id"))
+        """qid, pnode, node_id: the terminals of queries 0 .. size-1."""
+        bound = [n for n in p.order if p.nodes[n].bound]
+        key = (size, *((n, p.nodes[n].ntype) for n in bound))
+        if key in self._bindings:
+            return self._bindings[key]
+        if self.graph in ANCHORED:
+            view = f"arcs_{self.graph}"
+            self.index.arcs.createOrReplaceTempView(view)
+            found = self.spark.sql(bindings_sql(self.graph, p, size, "spark").replace("FROM arcs ", f"FROM {view} "))
+        else:
+            formulas, parts = FORMULAS["trade4" if self.graph == "flags" else self.graph], []
+            for n in bound:
+                ranks, total = self.ranks(p.nodes[n].ntype)
+                wanted = self.spark.range(size).selectExpr("id AS qid", f"({formulas[n].replace('q', 'id')}) % {max(total, 1)} AS i")
+                few = F.broadcast(wanted) if size <= BROADCAST_IDS else wanted
+                parts.append(ranks.join(few, "i").select("qid", F.lit(n).alias("pnode"), F.col("x").alias("node_id")))
+            found = reduce(DataFrame.unionByName, parts)
+        self._bindings[key] = stored(found.select(F.col("qid").cast("int").alias("qid"), "pnode", F.col("node_id").cast("long").alias("node_id")))
+        return self._bindings[key]
 
     def candidates(self, p: TreePattern, size: int, **options) -> CandidateGraph:
         if not any(n.bound for n in p.nodes.values()):
@@ -166,7 +197,7 @@ METHODS = ("guided", "kernel", "bulk", "spine")
 def run(ctx: Context, p: TreePattern, size: int, k: int, method: str, injective: bool = True) -> DataFrame:
     if method == "spine":
         return baselines.spine(ctx.index, p, ctx.bindings(p, size), k, injective)
-    cg = ctx.candidates(p, size)
+    cg = ctx.candidates(p, size, injective=injective)
     if method == "bulk":
         return baselines.bulk(cg, k, injective)
     if method == "kernel":
@@ -174,16 +205,21 @@ def run(ctx: Context, p: TreePattern, size: int, k: int, method: str, injective:
     return search.topk_iso(cg, k) if injective else search.topk(cg, k)
 
 
-def experiment(spark: SparkSession, sf_dir: str, grid: list[tuple[str, str]], ks: tuple[int | None, ...] = (5,), methods: tuple[str, ...] = METHODS, size: int | None = None) -> DataFrame:
-    """Times of the sweep (links stored), of the search over stored links, and their sum, with the answers and the mean
-    counters of the queue kernels: a row for each graph, template, method and k. Times are those of the whole batch."""
+COUNTED = ("max_nodes", "total_nodes", "max_partials", "total_partials", "pops", "pushes")
+
+
+def experiment(spark: SparkSession, sf_dir: str, grid: list[tuple[str, str]], ks: tuple[int | None, ...] = (5,), methods: tuple[str, ...] = METHODS, size: int | None = None, counted: bool = True) -> DataFrame:
+    """Times of the sweep (links stored), of the search over stored links, and their sum, with the answers and, if `counted`,
+    the mean counters of the queue kernels: a row for each graph, template, method and k. Times are those of a whole batch."""
     rows = []
     for graph, template in grid:
         ctx, p = context(spark, sf_dir, graph), pattern(graph, template)
-        n = size or ctx.size(template)
+        n = size or BATCH
+        ctx.bindings(p, n)
         t0 = time.perf_counter()
-        cg = fixed(ctx.candidates(p, n))
+        cg = ctx.candidates(p, n, injective=True, keep=True)
         sweep_ms = (time.perf_counter() - t0) * 1e3
+        down = sweep_down(cg) if counted else None
         for k in ks:
             for method in methods:
                 t0 = time.perf_counter()
@@ -198,19 +234,18 @@ def experiment(spark: SparkSession, sf_dir: str, grid: list[tuple[str, str]], ks
                 found = out.count()
                 ms = (time.perf_counter() - t0) * 1e3
                 row = {"graph": graph, "template": template, "method": method, "k": k, "queries": n, "sweep_ms": 0.0 if method == "spine" else sweep_ms, "search_ms": ms, "results": found}
-                if method in ("kernel", "bulk"):
-                    c = kernel.counters(cg, k, "guided" if method == "kernel" else "bulk").agg(*[F.avg(x).alias(x) for x in ("max_nodes", "total_nodes", "max_partials", "total_partials", "pops", "pushes")]).first()
-                    row |= {x: c[x] for x in ("max_nodes", "total_nodes", "max_partials", "total_partials", "pops", "pushes")}
+                if counted and method != "guided":
+                    own = kernel.spine_rows(ctx.index, p, ctx.bindings(p, n)) if method == "spine" else None
+                    c = kernel.counters(down, k, "guided" if method == "kernel" else method, rows=own).agg(*[F.avg(x).alias(x) for x in COUNTED]).first()
+                    row |= {x: c[x] for x in COUNTED}
                 rows.append(row)
-    names = ["graph", "template", "method", "k", "queries", "sweep_ms", "search_ms", "results", "max_nodes", "total_nodes", "max_partials", "total_partials", "pops", "pushes"]
-    kinds = "graph string, template string, method string, k int, queries int, sweep_ms double, search_ms double, results long, max_nodes double, total_nodes double, max_partials double, total_partials double, pops double, pushes double"
+    names = ["graph", "template", "method", "k", "queries", "sweep_ms", "search_ms", "results", *COUNTED]
+    kinds = "graph string, template string, method string, k int, queries int, sweep_ms double, search_ms double, results long, " + ", ".join(f"{x} double" for x in COUNTED)
     return spark.createDataFrame([tuple(r.get(x) for x in names) for r in rows], kinds).withColumn("total_ms", F.col("sweep_ms") + F.col("search_ms"))
 
 
 def easy_and_hard(cg: CandidateGraph) -> DataFrame:
     """Queries by number of homomorphic matches: 1-2, 3-99, 100 and more (queries without a match have no row)."""
-    from twigrank.operators.sweep import count_matches
-
     n = F.col("n")
     return count_matches(cg).select(F.when(n <= 2, "1-2").when(n < 100, "3-99").otherwise("100+").alias("bucket"), n).groupBy("bucket").agg(F.count("*").alias("queries"), F.sum("n").cast("long").alias("matches"))
 

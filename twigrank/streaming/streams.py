@@ -14,6 +14,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from twigrank.operators.index import GraphIndex, build_index, updated
 from twigrank.plans.storage import shared_dir, stored
 from twigrank.sources import graphs
 from twigrank.sources.graphs import read
@@ -59,11 +60,7 @@ def each_batch(df: DataFrame, work) -> None:
     df.writeStream.foreachBatch(work).trigger(availableNow=True).option("checkpointLocation", path).start().awaitTermination()
 
 
-#: Events on time, and the last watermark: windows that end after it are still open when the stream ends.
-_SEEN = """WITH e AS (SELECT * FROM events WHERE event_id % 20 <> 0), f AS (SELECT date_trunc('millisecond', max(ts)) - INTERVAL 1 DAY AS last FROM e)"""
-
-
-#: The same of all events. Late ones cross the end of one batch at most, and a batch drops only what an earlier one has emitted
+#: All events, and the last watermark: windows that end after it are still open when the stream ends. Late ones cross the end of one batch at most, and a batch drops only what an earlier one has emitted
 #: by the watermark of those before it, so that none is lost.
 _ALL = """WITH e AS (SELECT * FROM events), f AS (SELECT date_trunc('millisecond', max(ts)) - INTERVAL 1 DAY AS last FROM e)"""
 
@@ -76,33 +73,40 @@ def entry(sql: str | None = None):
     return keep
 
 
-@entry(f"{_SEEN}, t AS (SELECT time_bucket(INTERVAL 1 HOUR, ts) AS h, value FROM e) SELECT h AS start, count(*) AS n, min(round(value * 100)::BIGINT) AS least FROM t, f WHERE h + INTERVAL 1 HOUR <= last GROUP BY h")
-def stream_tumbling(s, d):
-    w = edges(s, d).where("event_id % 20 <> 0").withWatermark("ts", DELAY).groupBy(F.window("ts", "1 hour"))
-    return drained(w.agg(F.count("*").alias("n"), F.min(F.round(F.col("value") * 100).cast("long")).alias("least")).select(F.col("window.start").alias("start"), "n", "least"))
-
-
-@entry(f"{_SEEN}, t AS (SELECT time_bucket(INTERVAL 30 MINUTE, ts) - k * INTERVAL 30 MINUTE AS h FROM e, (SELECT unnest([0, 1]) AS k)) SELECT h AS start, count(*) AS n FROM t, f WHERE h + INTERVAL 1 HOUR <= last GROUP BY h")
-def stream_sliding(s, d):
-    w = edges(s, d).where("event_id % 20 <> 0").withWatermark("ts", DELAY).groupBy(F.window("ts", "1 hour", "30 minutes"))
-    return drained(w.agg(F.count("*").alias("n")).select(F.col("window.start").alias("start"), "n"))
-
-
 @entry(f"{_ALL}, t AS (SELECT time_bucket(INTERVAL 1 HOUR, ts) AS h, value FROM e) SELECT h AS start, count(*) AS n, min(round(value * 100)::BIGINT) AS least FROM t, f WHERE h + INTERVAL 1 HOUR <= last GROUP BY h")
-def stream_tumbling_all(s, d):
+def stream_tumbling(s, d):
     """The hourly windows over all events, late ones too."""
     w = edges(s, d).withWatermark("ts", DELAY).groupBy(F.window("ts", "1 hour"))
     return drained(w.agg(F.count("*").alias("n"), F.min(F.round(F.col("value") * 100).cast("long")).alias("least")).select(F.col("window.start").alias("start"), "n", "least"))
 
 
 @entry(f"{_ALL}, t AS (SELECT time_bucket(INTERVAL 30 MINUTE, ts) - k * INTERVAL 30 MINUTE AS h FROM e, (SELECT unnest([0, 1]) AS k)) SELECT h AS start, count(*) AS n FROM t, f WHERE h + INTERVAL 1 HOUR <= last GROUP BY h")
-def stream_sliding_all(s, d):
+def stream_sliding(s, d):
     """The sliding windows over all events, late ones too."""
     w = edges(s, d).withWatermark("ts", DELAY).groupBy(F.window("ts", "1 hour", "30 minutes"))
     return drained(w.agg(F.count("*").alias("n")).select(F.col("window.start").alias("start"), "n"))
 
 
-@entry()
+@entry("SELECT event_type, count(*) AS n, sum(round(value * 100)::BIGINT)::BIGINT AS cents FROM events GROUP BY 1")
+def stream_complete_totals(s, d):
+    """Running totals of each type, written whole with every batch (output mode complete); the last writing counts."""
+    totals = edges(s, d).groupBy("event_type").agg(F.count("*").alias("n"), F.sum(F.round(F.col("value") * 100).cast("long")).alias("cents"))
+    last: dict[str, DataFrame] = {}
+    path = f"{shared_dir(s)}/stream-{uuid.uuid4().hex}"
+    sink = totals.writeStream.outputMode("complete").foreachBatch(lambda batch, _: last.update(rows=stored(batch)))
+    sink.trigger(availableNow=True).option("checkpointLocation", path).start().awaitTermination()
+    return last["rows"]
+
+
+#: A user's events with gaps under two hours; a session ends two hours after its last event.
+_SESSIONS = (
+    "t AS (SELECT *, ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) < INTERVAL 2 HOUR AS joins FROM e), "
+    "g AS (SELECT *, sum(CASE WHEN joins THEN 0 ELSE 1 END) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS k FROM t), "
+    "s AS (SELECT user_id, min(ts) AS start, max(ts) + INTERVAL 2 HOUR AS \"end\", count(*) AS n FROM g GROUP BY user_id, k)"
+)
+
+
+@entry(f"{_ALL}, {_SESSIONS} SELECT user_id, start, \"end\", n FROM s, f WHERE \"end\" <= last")
 def stream_session(s, d):
     """Sessions of a user with gaps under two hours."""
     w = edges(s, d).withWatermark("ts", DELAY).groupBy("user_id", F.session_window("ts", "2 hours"))
@@ -120,43 +124,22 @@ def stream_late(s, d):
     return s.createDataFrame([(late,)], "late long")
 
 
-@entry("SELECT event_id FROM events WHERE event_id % 20 <> 0")
-def stream_dedup(s, d):
-    """Events that come twice within the watermark's delay, once each."""
-    e = edges(s, d).where("event_id % 20 <> 0")
-    twice = e.withColumn("copy", F.explode(F.array(F.lit(0), F.lit(1)))).withWatermark("ts", DELAY)
-    return drained(twice.dropDuplicatesWithinWatermark(["event_id"]).select("event_id"))
-
-
 @entry("SELECT event_id FROM events")
-def stream_dedup_all(s, d):
+def stream_dedup(s, d):
     """All events come twice within the watermark's delay, late ones too, once each."""
     twice = edges(s, d).withColumn("copy", F.explode(F.array(F.lit(0), F.lit(1)))).withWatermark("ts", DELAY)
     return drained(twice.dropDuplicatesWithinWatermark(["event_id"]).select("event_id"))
 
 
 @entry("SELECT event_id, user_id FROM events")
-def stream_static_join_all(s, d):
+def stream_static_join(s, d):
     """The stream against all users."""
     users = read(s, d, "events").select("user_id").distinct()
     return drained(edges(s, d).join(users, "user_id").select("event_id", "user_id"))
 
 
-@entry("SELECT event_id, user_id FROM events WHERE user_id % 10 = 0")
-def stream_static_join(s, d):
-    """The stream against a fixed set of users."""
-    users = read(s, d, "events").where("user_id % 10 = 0").select("user_id").distinct()
-    return drained(edges(s, d).join(users, "user_id").select("event_id", "user_id"))
-
-
-@entry("SELECT p.event_id AS purchase, v.event_id AS viewed FROM events p JOIN events v ON p.user_id = v.user_id AND p.event_type = 'purchase' AND v.event_type = 'view' AND v.ts <= p.ts AND v.ts >= p.ts - INTERVAL 10 MINUTE WHERE p.event_id % 20 <> 0 AND v.event_id % 20 <> 0")
-def stream_interval_join(s, d):
-    """Two-edge patterns within ten minutes, both sides watermarked."""
-    return _viewed_before(edges(s, d).where("event_id % 20 <> 0"))
-
-
 @entry("SELECT p.event_id AS purchase, v.event_id AS viewed FROM events p JOIN events v ON p.user_id = v.user_id AND p.event_type = 'purchase' AND v.event_type = 'view' AND v.ts <= p.ts AND v.ts >= p.ts - INTERVAL 10 MINUTE")
-def stream_interval_join_all(s, d):
+def stream_interval_join(s, d):
     """The same over all events, late ones too."""
     return _viewed_before(edges(s, d))
 
@@ -168,21 +151,18 @@ def _viewed_before(e):
 
 
 class Merged:
-    """A min-merged edge table that a stream keeps up to date: each batch rewrites only the keys that it touches."""
+    """A min-merged edge index that a stream keeps up to date: each batch writes only the arcs that it touches."""
 
     def __init__(self):
-        self.edges: DataFrame | None = None
+        self.index: GraphIndex | None = None
 
-    def add(self, batch: DataFrame, _: int) -> None:
-        from twigrank.sources.graphs import LabeledGraph
+    @property
+    def edges(self) -> DataFrame:
+        return self.index.arcs
 
-        new: LabeledGraph = graphs.activity(batch.sparkSession, "", batch)
-        if self.edges is not None:
-            keys = ["src", "dst", "src_type", "dst_type", "elabel", "dir"]
-            new = self.edges.unionByName(new.arcs.select(*self.edges.columns)).groupBy(*keys).agg(F.min("w").alias("w"))
-        else:
-            new = new.arcs
-        self.edges = stored(new)
+    def add(self, batch: DataFrame, _: int) -> None:
+        new = graphs.activity(batch.sparkSession, "", batch)
+        self.index = build_index(new) if self.index is None else updated(self.index, new.arcs)
 
 
 def _activity_twin() -> str:
@@ -203,19 +183,13 @@ def _topk_twin() -> str:
     from twigrank.plans import sqlgen, workloads
 
     p = workloads.pattern("activity", "T3")
-    return workloads.oracle("activity", p, 60, sqlgen.top(p, 5))
+    return workloads.oracle("activity", p, workloads.BATCH, sqlgen.top(p, 5))
 
 
 @entry(_topk_twin())
 def stream_topk(s, d):
-    """Continuously kept five lightest matches of 60 star queries: each batch merges its edges and searches again for the
+    """Continuously kept five lightest matches of the star queries: each batch merges its edges and searches again for the
     queries of which a terminal has new edges; the others keep their answers."""
-    return _kept_best(s, d, 60)
-
-
-@entry()
-def stream_topk_all(s, d):
-    """The same of the whole batch of queries."""
     from twigrank.plans import workloads
 
     return _kept_best(s, d, workloads.BATCH)
@@ -223,7 +197,6 @@ def stream_topk_all(s, d):
 
 def _kept_best(s, d, size):
     from twigrank.operators import search
-    from twigrank.operators.index import GraphIndex
     from twigrank.operators.sweep import sweep_up
     from twigrank.plans import workloads
 
@@ -235,7 +208,7 @@ def _kept_best(s, d, size):
         merged.add(batch, number)
         touched = graphs.activity(batch.sparkSession, "", batch).arcs.select(F.col("src").alias("node_id")).distinct()
         again = stored(bindings.join(touched, "node_id", "left_semi").select("qid").distinct())
-        found = search.topk_iso(sweep_up(GraphIndex(merged.edges), p, bindings.join(again, "qid", "left_semi")), 5)
+        found = search.topk_iso(sweep_up(merged.index, p, bindings.join(again, "qid", "left_semi"), injective=True), 5)
         kept["rows"] = stored(found if "rows" not in kept else kept["rows"].join(again, "qid", "left_anti").unionByName(found))
 
     each_batch(edges(s, d), step)
