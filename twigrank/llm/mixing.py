@@ -117,6 +117,8 @@ def shard_range(plan: MixPlan, slots: np.ndarray, lo: int, hi: int) -> tuple[np.
     own, before, at = slots.copy(), np.zeros_like(slots), 0
     total = -(-int(slots.sum()) // plan.shard_slots)
     size = 1 << max(hi - lo, total - 1, 1).bit_length()
+    if hi > size:
+        raise ValueError(f"there are {total} shards only")
     while size > hi - lo:
         size //= 2
         rng = np.random.Generator(np.random.Philox(key=[plan.seed, size]).jumped(at // size + 1))
@@ -134,12 +136,13 @@ def draw_slots(sources: DataFrame, plan: MixPlan) -> DataFrame:
     rows = sources.orderBy("k").collect()
     slots = np.array([r["n_slots"] for r in rows], dtype=np.int64)
     n_blocks = [max(1, r["n_blocks"]) for r in rows]
-    steps = -(-int(slots.sum()) // (plan.shard_slots * plan.super_shards))
+    n_shards = -(-int(slots.sum()) // plan.shard_slots)
+    steps = -(-n_shards // plan.super_shards)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for step in batch.column(0).to_pylist():
-                for shard in range(step * plan.super_shards, (step + 1) * plan.super_shards):
+                for shard in range(step * plan.super_shards, min((step + 1) * plan.super_shards, n_shards)):
                     own, start = shard_range(plan, slots, shard, shard + 1)
                     for k in np.nonzero(own)[0].tolist():
                         slot = np.arange(start[k], start[k] + own[k])
