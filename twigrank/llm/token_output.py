@@ -9,7 +9,6 @@ decoded on its own, all words at once. Blocks are rows of Parquet files, in asce
 from __future__ import annotations
 
 import os
-import re
 import uuid
 import zlib
 from collections.abc import Iterator
@@ -122,26 +121,24 @@ def decode(words: np.ndarray, escapes: np.ndarray) -> np.ndarray:
 ODD_SPACE = r"[\x1c-\x1f\x{85}\x{a0}\x{1680}\x{2000}-\x{200a}\x{2028}\x{2029}\x{202f}\x{205f}\x{3000}]"
 #: Other white space than single spaces and single line ends between words.
 UNEVEN = r"^[ \n]|[ \n]$|  | \n|\n |\n\n|[\t\r\x0b\x0c]"
-SEGMENT = re.compile(r"[ \t-\r]*[^ \t-\r]+|[ \t-\r]+")
-SPACES = " \t\n\v\f\r"
-LEARN_BYTES = 1 << 14  # of new words that the library gets as one text
+LEARN_BYTES = 1 << 14  # of distinct words that the library gets as one text
 
 
 class Encoder:
-    """Token ids of whole texts by the tokenizers library, with the ids of words remembered.
+    """Token ids of whole texts by the tokenizers library, which sees each distinct word of a batch once.
 
     The byte-level splitter never lets a pre-token run from a non-space character into white space, and its look-ahead
-    stays within a run of white space; a text cut before each such run therefore has the ids of its segments, one after
-    another. New segments go to the library side by side in one text for the same reason; each id stands for a fixed number
-    of bytes, so the ids are told apart by the segments' lengths. Texts with other white space than the ASCII one go to the
-    library whole. Memories have two generations: a word that is met again moves to the young one.
+    stays within a run of white space; a text cut before each single space or line end therefore has the ids of its
+    segments, one after another. Distinct segments go to the library side by side in long texts for the same reason; each id
+    stands for a fixed number of bytes, so the ids are told apart by the segments' lengths. Texts with other white space
+    go to the library whole. Nothing is remembered between batches.
     """
 
-    def __init__(self, path: str, remember: int = 300_000):
+    def __init__(self, path: str):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")  # the tasks of an executor share its cores already
         from tokenizers import Tokenizer
 
-        self.tokenizer, self.remember = Tokenizer.from_file(path), remember
+        self.tokenizer = Tokenizer.from_file(path)
         vocabulary = self.tokenizer.get_vocab(with_added_tokens=False)
         added = self.tokenizer.get_added_tokens_decoder()
         last = max([*vocabulary.values(), *added])
@@ -150,80 +147,57 @@ class Encoder:
         self.n_bytes[list(vocabulary.values())] = [len(x) for x in vocabulary]
         for k, token in added.items():
             self.n_bytes[k] = len(token.content.encode())
-        self.young: dict[str, bytes] = {}
-        self.old: dict[str, bytes] = {}
 
     def library(self, texts: list[str]) -> list[np.ndarray]:
         return [np.array(e.ids, dtype=self.dtype) for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
-    def learn(self, words: list[str]) -> list[bytes]:
-        """Remember the ids, packed, of distinct words as they stand after a space, or after the line end they begin with."""
-        segments = [w if w[0] in SPACES else " " + w for w in words]
-        sizes = list(map(len, map(str.encode, segments)))
-        at, found = 0, []
-        while at < len(segments):
-            end, held = at, 0
-            while end < len(segments) and (end == at or held + sizes[end] <= LEARN_BYTES):
-                held += sizes[end]
-                end += 1
-            ids = self.library(["".join(segments[at:end])])[0]
-            reach, wanted = np.cumsum(self.n_bytes[ids]), np.cumsum(sizes[at:end])
-            cuts = np.searchsorted(reach, wanted) + 1
-            if not len(ids) or reach[-1] != wanted[-1] or (reach[cuts - 1] != wanted).any():
-                raise ValueError("ids of the vocabulary do not stand for fixed numbers of bytes")
-            packed, places = ids.tobytes(), [0, *(cuts * self.dtype.itemsize).tolist()]
-            found += [packed[lo:hi] for lo, hi in pairwise(places)]
-            at = end
-        self.young.update(zip(words, found))
-        return found
-
-    def known(self, words: list[str]) -> list[bytes]:
-        """The ids of distinct words, as `learn` gives them; an empty word has none."""
-        if len(self.young) > self.remember:
-            self.young, self.old = {}, self.young
-        found = list(map(self.young.get, words))
-        missing, get_old = [], self.old.get
-        for k in [k for k, x in enumerate(found) if x is None]:
-            x = b"" if not words[k] else get_old(words[k])
-            if x is None:
-                missing.append(k)
-            else:
-                found[k] = self.young[words[k]] = x
-        if missing:
-            for k, x in zip(missing, self.learn([words[k] for k in missing])):
-                found[k] = x
-        return found
-
-    def slow(self, text: str) -> np.ndarray:
-        """The ids of a text with uneven white space, by its segments."""
-        head, *rest = SEGMENT.findall(text)
-        ends = [head, *(rest.pop() for _ in range(1) if rest and not rest[-1].strip(SPACES))]  # white space at the end stands alone
-        distinct = list(dict.fromkeys(rest))
-        own = dict(zip(distinct, self.known([x[1:] if x[0] == " " and x[1] not in SPACES else x for x in distinct])))
-        first, *last = self.library(ends)
-        return np.concatenate([first, np.frombuffer(b"".join(map(own.get, rest)), dtype=self.dtype), *last])
+    def words(self, words: pa.Array) -> tuple[list[np.ndarray], np.ndarray]:
+        """(ids in pieces, number of ids of each word) of words as they stand after a space, or after the line end that they
+        begin with; an empty word has none."""
+        sizes = np.zeros(len(words), dtype=np.int32)
+        full = np.asarray(pc.greater(pc.binary_length(words), 0))
+        segments = words.filter(pa.array(full))
+        before = pc.if_else(pc.starts_with(segments, "\n"), "", " ")
+        segments = pc.binary_join_element_wise(before, segments, "")
+        if not len(segments):
+            return [], sizes
+        ends, data = np.frombuffer(segments.buffers()[1], dtype=np.int32)[: len(segments) + 1].astype(np.int64), memoryview(segments.buffers()[2])
+        cuts = np.unique(np.r_[np.searchsorted(ends, np.arange(0, ends[-1], LEARN_BYTES)), len(segments)])
+        pieces, counts = [], []
+        for k in range(0, len(cuts) - 1, 16):
+            spans = list(pairwise(cuts[k : k + 17].tolist()))
+            found = self.library([bytes(data[ends[lo] : ends[hi]]).decode() for lo, hi in spans])
+            for (lo, hi), ids in zip(spans, found):
+                reach, wanted = np.cumsum(self.n_bytes[ids]), ends[lo + 1 : hi + 1] - ends[lo]
+                last = np.searchsorted(reach, wanted)
+                if not len(ids) or reach[-1] != wanted[-1] or (reach[last] != wanted).any():
+                    raise ValueError("ids of the vocabulary do not stand for fixed numbers of bytes")
+                pieces.append(ids)
+                counts.append(np.diff(last, prepend=-1))
+        sizes[full] = np.concatenate(counts)
+        return pieces, sizes
 
     def encode_column(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """(ids of all texts one after another, number of ids of each); null texts are empty."""
         texts = texts.fill_null("")
-        odd = np.asarray(pc.match_substring_regex(texts, ODD_SPACE))
-        uneven = np.asarray(pc.match_substring_regex(texts, UNEVEN)) & ~odd
-        special = np.nonzero(odd | uneven)[0].tolist()
+        uneven = np.asarray(pc.match_substring_regex(texts, f"{UNEVEN}|{ODD_SPACE}"))
+        special = np.nonzero(uneven)[0].tolist()
         if special:
-            own = {k: self.library([texts[k].as_py()])[0] if odd[k] else self.slow(texts[k].as_py()) for k in special}
-            texts = pc.if_else(pa.array(odd | uneven), "", texts)
+            own = dict(zip(special, self.library([texts[k].as_py() for k in special])))
+            texts = pc.if_else(pa.array(uneven), "", texts)
         # words as they stand between single spaces, and a line's first word with its line end
         split = pc.split_pattern(pc.replace_substring(texts, "\n", " \n"), " ")
         offsets = np.asarray(split.offsets) - split.offsets[0].as_py()
         coded = split.flatten().dictionary_encode()
-        codes, distinct = np.array(coded.indices), coded.dictionary.to_pylist()
-        del split, texts
+        codes, distinct = np.array(coded.indices), coded.dictionary
+        del split, texts, coded
         # a text's first word has no space before it: a code of its own
         heads = np.unique(codes[offsets[:-1]])
         codes[offsets[:-1]] = len(distinct) + np.searchsorted(heads, codes[offsets[:-1]])
-        packed = self.known(distinct) + [x.tobytes() for x in self.library([distinct[k] for k in heads.tolist()])]
-        n_ids = np.fromiter(map(len, packed), dtype=np.int32, count=len(packed)) // np.int32(self.dtype.itemsize)
-        pool = np.frombuffer(b"".join(packed), dtype=self.dtype)
+        pieces, n_ids = self.words(distinct)
+        first = self.library(distinct.take(pa.array(heads)).to_pylist())
+        pool = np.concatenate([np.zeros(0, dtype=self.dtype), *pieces, *first])
+        n_ids = np.r_[n_ids, np.array([len(x) for x in first], dtype=np.int32)]
         starts, sizes = np.cumsum(n_ids, dtype=np.int32) - n_ids, n_ids[codes]
         reach = np.cumsum(sizes, dtype=np.int32)  # a batch has far fewer ids than 2^31
         place = np.repeat(starts[codes] - (reach - sizes), sizes)
@@ -247,7 +221,7 @@ class Encoder:
 
 @lru_cache(maxsize=2)
 def encoder_of(path: str) -> Encoder:
-    """The encoder of this process: what one task has remembered, the next ones of the same Python worker know."""
+    """The encoder of this process, for all tasks of a Python worker; its vocabulary is read once."""
     return Encoder(path)
 
 
