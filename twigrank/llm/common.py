@@ -43,7 +43,7 @@ def slices(batches: Iterable[pa.RecordBatch], rows: int = 512) -> Iterator[pa.Re
             yield batch.slice(at, rows)
 
 
-def by_bytes(batches: Iterable[pa.RecordBatch], text: str, limit: int = 8 << 20, rows: int = 512) -> Iterator[pa.RecordBatch]:
+def by_bytes(batches: Iterable[pa.RecordBatch], text: str, limit: int = 12 << 20, rows: int = 512) -> Iterator[pa.RecordBatch]:
     """The same rows in record batches of about `limit` bytes of column `text`, joined or cut from what comes."""
     held: list[pa.RecordBatch] = []
     size = 0
@@ -104,6 +104,15 @@ def maybe_in(rows: DataFrame, key: str, wanted: DataFrame) -> DataFrame:
     return mark_in(rows, key, wanted, "_maybe").where("_maybe").select(rows.columns)
 
 
+def without(df: DataFrame, id_col: str, bad: DataFrame) -> DataFrame:
+    """The rows of df whose id (as long) is not in bad (one long column, null for null ids). Rows that a filter of the bad
+    ids tells clear are not shuffled."""
+    bad = bad.toDF("_bad_id").distinct()
+    marked = mark_in(df.withColumn("_id_here", df[id_col].cast("long")), "_id_here", bad.select(F.col("_bad_id").alias("_id_here")), "_maybe_bad")
+    rest = marked.where("_maybe_bad").join(bad, F.col("_id_here").eqNullSafe(F.col("_bad_id")), "left_anti")
+    return marked.where("not _maybe_bad").select(df.columns).union(rest.select(df.columns))
+
+
 def complete_groups(batches: Iterable[pa.RecordBatch], key: str) -> Iterator[pa.Table]:
     """Tables that hold whole groups each, from batches in which equal keys stand together."""
     carry: list[pa.RecordBatch] = []

@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from twigrank.llm.common import materialize, slices
+from twigrank.llm.common import materialize, slices, without
 
 WINDOW = 10
 #: Characters of benchmark text in a part: its windows (50 bytes a word at most) go to every executor by broadcast.
@@ -244,5 +244,5 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, slack: int = 0) -> Data
 def keep_clean(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """The rows of docs (all columns) without any exact match. Rows that share a doc_id go together if one has a match; a
     row with a null doc_id stays only if no row with a null doc_id has a match."""
-    bad = decontaminate(docs, benchmark).where("contaminated").select(F.col("doc_id").alias("_bad")).distinct()
-    return docs.join(bad, docs["doc_id"].cast("long").eqNullSafe(bad["_bad"]), "left_anti")
+    bad = decontaminate(docs, benchmark).where("contaminated").select("doc_id")
+    return without(docs, "doc_id", materialize(bad))

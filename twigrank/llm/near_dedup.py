@@ -19,10 +19,10 @@ import numpy as np
 import pandas as pd
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from twigrank.llm.common import blocks_of_pairs, complete_groups, connected_components, join_per_key, materialize, maybe_in, slices
+from twigrank.llm.common import blocks_of_pairs, complete_groups, connected_components, join_per_key, mark_in, materialize, maybe_in, slices, without
 
 MIX = (np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F), np.uint64(0x165667B19E3779F9))
 
@@ -284,7 +284,15 @@ def near_duplicates(df: DataFrame, config: DedupConfig = DedupConfig()) -> DataF
 
 def keep_one(df: DataFrame, config: DedupConfig = DedupConfig()) -> DataFrame:
     """The rows of df (all columns) with one document of each group: that of the smallest doc_id. Of rows that share a
-    doc_id one stays; rows with a null doc_id all stay."""
-    kept = near_duplicates(df, config).where("kept and doc_id is not null").select("doc_id").distinct()
-    first = df.join(kept, "doc_id", "left_semi").dropDuplicates(["doc_id"]).select(df.columns)
-    return first.union(df.where("doc_id is null").select(df.columns))
+    doc_id one stays, that of the least hash of its text; rows with a null doc_id all stay. Only rows that may go are
+    shuffled."""
+    ids = near_duplicates(df, config).where("doc_id is not null").groupBy("doc_id")
+    ids = materialize(ids.agg(F.count("*").alias("n"), F.max("kept").alias("kept")).where("n > 1 or not kept"))
+    left = without(df, "doc_id", ids.where("not kept").select("doc_id"))
+    again = materialize(ids.where("kept").select(F.col("doc_id").alias("_again")))
+    marked = mark_in(left.withColumn("_id", F.col("doc_id").cast("long")), "_id", again.select(F.col("_again").alias("_id")), "_maybe")
+    some = marked.where("_maybe").join(again, F.col("_id") == F.col("_again"), "left")
+    first = F.row_number().over(Window.partitionBy("_again").orderBy(F.xxhash64("text"), "text"))
+    once = some.where("_again is not null").withColumn("_row", first).where("_row = 1")
+    rest = some.where("_again is null").select(df.columns).union(once.select(df.columns))
+    return marked.where("not _maybe").select(df.columns).union(rest)
