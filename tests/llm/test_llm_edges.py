@@ -92,6 +92,15 @@ def test_chat(spark):
     assert len(mine) > 5 and all(w["text"].startswith("<turn:system>\n") and w["n_tokens"] <= 1024 for w in mine)
     assert any(w["n_repeated"] > 1 for w in mine)
     assert chat_format.read_back(chat_format.format_conversations(df.limit(0))).count() == 0
+    from tokenizers import Tokenizer
+
+    library, budget = Tokenizer.from_file(vocabulary()), chat_format.WindowBudget(vocabulary(), tokens=300, history=100)
+    by_ids = chat_format.format_conversations(df, budget)
+    for w in by_ids.collect():
+        turns = chat_format.MARK.finditer(w["text"])
+        assert w["n_tokens"] == sum(len(library.encode(m[0], add_special_tokens=False).ids) for m in turns)
+        assert w["over_budget"] == (w["n_tokens"] > 300)
+    assert {r["conv_id"]: r["turns_sha256"] for r in chat_format.read_back(by_ids).collect()} == {c: r["turns_sha256"] for c, r in back.items()}
 
 
 def test_targets_are_filled_by_weight():

@@ -20,13 +20,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from twigrank.llm.common import slices
+from twigrank.llm.common import by_bytes, slices
+from twigrank.llm.token_output import encoder_of
 
 TOKEN = re.compile(r"\w+|[^\w\s]")
 MARK = re.compile(r"<turn:((?:[^\\>]|\\.)*)>\n((?:[^\\<]|\\.)*)\n</turn>\n", re.S)
 UNESCAPE = re.compile(r"\\(.)", re.S)
 WINDOWS = "conv_id long, window long, first_turn long, n_repeated long, n_tokens long, over_budget boolean, text string, loss array<struct<lo:long,hi:long>>"
-TURNS = 64  # turns of a batch
+TURNS = 64  # turns that are read at once; batches are joined up to a megabyte of text
 
 
 def escape(text: str) -> str:
@@ -46,17 +47,26 @@ class Turn:
     tokens: int
 
     @classmethod
-    def of(cls, role: str | None, text: str | None) -> "Turn":
-        role, body = role or "", escape(text or "")
-        head = f"<turn:{escape(role).replace('>', chr(92) + '>')}>\n"
-        whole = f"{head}{body}\n</turn>\n"
-        return cls(role, whole, len(head), len(head) + len(body), sum(1 for _ in TOKEN.finditer(whole)))
+    def all_of(cls, roles: list[str | None], texts: list[str | None], vocabulary: str | None) -> list["Turn"]:
+        heads = [f"<turn:{escape(r or '').replace('>', chr(92) + '>')}>\n" for r in roles]
+        bodies = [escape(t or "") for t in texts]
+        rendered = [f"{head}{body}\n</turn>\n" for head, body in zip(heads, bodies)]
+        if vocabulary:
+            # the line end after a turn is a token of its own: it follows a mark, and a mark follows it
+            encoder = encoder_of(vocabulary)
+            last = len(encoder.library(["\n"])[0])
+            tokens = (encoder.encode_column(pa.array([x[:-1] for x in rendered], pa.string()))[1] + last).tolist()
+        else:
+            tokens = [sum(1 for _ in TOKEN.finditer(x)) for x in rendered]
+        return [cls(r or "", x, len(h), len(h) + len(b), n) for r, x, h, b, n in zip(roles, rendered, heads, bodies, tokens)]
 
 
 @dataclass(frozen=True)
 class WindowBudget:
-    """Tokens are runs of word characters and single other characters of the rendered turn."""
+    """Tokens of the rendered turn: those of a tokenizers file that every executor has, or else runs of word characters and
+    single other characters."""
 
+    vocabulary: str | None = None
     tokens: int = 1024
     history: int = 256  # at most so many of them for repeated turns
     trained_role: str = "assistant"
@@ -130,13 +140,14 @@ def format_conversations(df: DataFrame, budget: WindowBudget = WindowBudget()) -
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         state: Windows | None = None
         rows: list[tuple] = []
-        for batch in slices(batches, TURNS):
-            for conv, role, text in zip(*(batch.column(c).to_pylist() for c in ("conv_id", "role", "text"))):
+        for batch in by_bytes(batches, "text", 1 << 20, TURNS):
+            turns = Turn.all_of(batch.column("role").to_pylist(), batch.column("text").to_pylist(), budget.vocabulary)
+            for conv, turn in zip(batch.column("conv_id").to_pylist(), turns):
                 if state is None or conv != state.conv:
                     if state:
                         rows.extend(state.end())
                     state = Windows(conv, budget)
-                rows.extend(state.add(Turn.of(role, text)))
+                rows.extend(state.add(turn))
             if rows:
                 yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*rows), arrow)], schema=arrow)
                 rows = []

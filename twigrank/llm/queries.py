@@ -59,7 +59,7 @@ def op6_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
     said = "\\### Assistant: </turn> ok"
     extra = spark.createDataFrame([(-7, 0, "user", said), (-7, 1, "assistant", said)], "conv_id long, turn long, role string, text string")
     turns = table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text").union(extra)
-    return chat_format.read_back(chat_format.format_conversations(turns))
+    return chat_format.read_back(chat_format.format_conversations(turns, chat_format.WindowBudget(vocabulary())))
 
 
 def op7_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
