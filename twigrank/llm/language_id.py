@@ -38,7 +38,12 @@ def fold(doc_id: F.Column) -> F.Column:
 
 
 def letter_runs(text: str | None) -> list[str]:
-    return LETTERS.findall(text.lower()) if text else []
+    """Runs of letters (Unicode's L categories), lower-cased."""
+    runs = LETTERS.findall(text.lower()) if text else []
+    if all(map(str.isalpha, runs)):
+        return runs
+    # numbers that are no decimal digits, such as superscripts and fractions, are no letters
+    return [w for r in runs for w in "".join(c if c.isalpha() else " " for c in r).split()]
 
 
 def gram_hashes(codes: np.ndarray, n: int) -> np.ndarray:
@@ -178,17 +183,19 @@ GRAMS = "lang string, gram string, n long"
 
 
 def fit(docs: DataFrame, max_docs: int = 1200, calibration: int = 300, holdout: int = 0) -> LanguageModel:
-    """Learn from documents outside the held-out fold, at most `max_docs` of each language (smallest hash of the id), and
-    calibrate on at most `calibration` others of each. Rows with null text or lang are ignored. Without any, no language
+    """Learn from documents outside the held-out fold, at most `max_docs` of each language, and calibrate on others, at most
+    `calibration` of each: of a language's documents in the order of their ids' hashes, the shares are the same whatever
+    their number. Rows with null text or lang are ignored. Without any, no language
     is learned and every text is `und`."""
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("lang").cast("string").alias("lang"), F.col("text").cast("string").alias("text"))
     known = rows.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & F.coalesce(fold(F.col("doc_id")) != holdout, F.lit(False)))
     # the first of each language are among the first of its salted parts, so that no task ranks a whole language
-    most, hashed = max_docs + calibration, [F.xxhash64("doc_id"), F.col("doc_id")]
+    most, each = max_docs + calibration, (max_docs + calibration) // max(calibration, 1)
+    hashed = [F.xxhash64("doc_id"), F.col("doc_id")]
     parts = known.select("doc_id", "lang", F.pmod(F.xxhash64("doc_id", F.lit(1)), F.lit(SALTS)).alias("salt"))
     parts = parts.withColumn("k", F.row_number().over(Window.partitionBy("lang", "salt").orderBy(*hashed))).where(F.col("k") <= most)
     chosen = parts.select("doc_id", "lang", F.row_number().over(Window.partitionBy("lang").orderBy(*hashed)).alias("k")).where(F.col("k") <= most)
-    chosen = materialize(chosen.groupBy("doc_id", "lang").agg((F.min("k") > max_docs).alias("calibrate")))
+    chosen = materialize(chosen.groupBy("doc_id", "lang").agg((F.min("k") % each == 0 if calibration else F.lit(False)).alias("calibrate")))
     chosen = F.broadcast(chosen) if chosen.count() <= BROADCAST_ROWS else chosen
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
