@@ -171,13 +171,21 @@ def _after_five(cursor: search.AnyK) -> DataFrame:
     return cursor.next(5).unionByName(cursor.all())
 
 
-for t in ("T2", "T5"):
+def _digest(rows: DataFrame) -> DataFrame:
+    """Millions of ranked rows as a row for each query that tells their number, weights and order."""
+    weighed = F.sum(F.col("rank").cast("long") * F.col("weight"))
+    return rows.groupBy("qid").agg(F.count("*").alias("matches"), F.sum("weight").alias("total"), weighed.alias("by_rank"))
+
+
+def _digest_sql(rows: str) -> str:
+    return f"SELECT qid, count(*) AS matches, sum(weight)::BIGINT AS total, sum(rank * weight)::BIGINT AS by_rank FROM ({rows}) GROUP BY qid"
+
+
+for t, limit in (("T2", 8_000), ("T5", 14_000)):
+    cheap = f"SELECT * FROM ({sqlgen.top(TRADE[t], None)}) WHERE weight <= {limit}"
     ranking(f"page2_iso_{t}", "trade4", TRADE[t], N, 5, first=5, make=_cursor(t, _second_page))
-    ranking(f"all_{t}", "trade4", TRADE[t], N, None, make=_cursor(t, _after_five))
-    limit = 2_000
-    cheap = f"SELECT qid, rank, weight, {', '.join(f'n{i}' for i in range(len(TRADE[t].order)))} FROM ({sqlgen.top(TRADE[t], None)}) WHERE weight <= {limit}"
-    ranking(f"until_{t}", "trade4", TRADE[t], N, None, make=_cursor(t, lambda cursor: cursor.until(limit)), twin=False)
-    ORACLES[f"until_{t}"] = oracle("trade4", TRADE[t], N, cheap)
+    add(f"all_{t}", lambda s, d, t=t: _digest(_cursor(t, _after_five)(context(s, d, "trade4"))), oracle("trade4", TRADE[t], N, _digest_sql(sqlgen.top(TRADE[t], None))))
+    add(f"until_{t}", lambda s, d, t=t, limit=limit: _cursor(t, lambda cursor: cursor.until(limit))(context(s, d, "trade4")), oracle("trade4", TRADE[t], N, cheap))
 
 
 # the worked example: two answers of six nodes
@@ -237,10 +245,26 @@ ranking("single_node", "trade4", _single, 1, 50, make=lambda ctx: search.topk(ct
 ORACLES["single_node"] = f"WITH {sqlgen.trade()} SELECT 0 AS qid, row_number() OVER (ORDER BY src) AS rank, 0 AS weight, src AS n0 FROM (SELECT DISTINCT src FROM arcs WHERE src_type = 'customer') QUALIFY rank <= 50"
 _edge = parse_pattern("(p:part)-(s:supplier*)")
 ranking("single_edge", "trade4", _edge, N, 5)
-ranking("iso_filter_T2", "trade4", TRADE["T2"], N, None, make=lambda ctx: search.iso_filter(TRADE["T2"], search.upto(ctx.candidates(TRADE["T2"], N), 1 << 60)).drop("rank"), twin=False)
-ORACLES["iso_filter_T2"] = oracle("trade4", TRADE["T2"], N, "SELECT qid, cost AS weight, n0, n1, n2, n3, n4 FROM m", f"m AS ({sqlgen.tree_join(TRADE['T2'])})")
-_pairs = "list_aggregate(list_sort(list_distinct([{}])), 'string_agg', ' ')".format(", ".join(f"least(n{TRADE['T2'].place(e.parent)}, n{TRADE['T2'].place(e.child)}) || '-' || greatest(n{TRADE['T2'].place(e.parent)}, n{TRADE['T2'].place(e.child)})" for e in TRADE["T2"].edges))
-add("distinct_subgraphs_T2", lambda s, d: search.distinct_subgraphs(TRADE["T2"], search.upto(context(s, d, "trade4").candidates(TRADE["T2"], N), 1 << 60)), oracle("trade4", TRADE["T2"], N, f"SELECT qid, {_pairs} AS edges, min(cost) AS weight FROM m GROUP BY ALL", f"m AS ({sqlgen.tree_join(TRADE['T2'], injective=False)})"))
+T2 = TRADE["T2"]
+_hom_T2 = f"m AS ({sqlgen.tree_join(T2, injective=False)})"
+
+
+def _iso_filter(s: SparkSession, d: str) -> DataFrame:
+    rows = search.iso_filter(T2, search.upto(_cg(s, d, "T2"), 1 << 60))
+    return rows.groupBy("qid").agg(F.count("*").alias("matches"), F.sum("weight").alias("total"))
+
+
+def _subgraphs(s: SparkSession, d: str) -> DataFrame:
+    rows = search.distinct_subgraphs(T2, search.upto(_cg(s, d, "T2"), 1 << 60))
+    return rows.groupBy("qid").agg(F.count("*").alias("subgraphs"), F.sum("weight").alias("total"), F.sum(F.length("edges")).alias("chars"))
+
+
+_apart = " AND ".join(f"n{i} <> n{j}" for i, j in T2.overlapping_pairs())
+add("iso_filter_T2", _iso_filter, oracle("trade4", T2, N, f"SELECT qid, count(*) AS matches, sum(cost)::BIGINT AS total FROM m WHERE {_apart} GROUP BY qid", _hom_T2))
+_ends = [(T2.place(e.parent), T2.place(e.child)) for e in T2.edges]
+_pairs = ", ".join(f"least(n{a}, n{b}) || '-' || greatest(n{a}, n{b})" for a, b in _ends)
+_edge_sets = f"SELECT qid, list_aggregate(list_sort(list_distinct([{_pairs}])), 'string_agg', ' ') AS edges, min(cost) AS weight FROM m GROUP BY ALL"
+add("distinct_subgraphs_T2", _subgraphs, oracle("trade4", T2, N, f"SELECT qid, count(*) AS subgraphs, sum(weight)::BIGINT AS total, sum(length(edges))::BIGINT AS chars FROM ({_edge_sets}) GROUP BY qid", _hom_T2))
 for t in ("T1", "T2", "T5"):
     p = TRADE[t]
     same = " OR ".join(f"n{i} = n{j}" for i, j in p.overlapping_pairs()) or "false"

@@ -1,7 +1,7 @@
 """Edge streams: windows, deduplication, joins, incremental index and continuous answers over the events table.
 
 The stream is the events in the order of arrival: one file for each day, in which every twentieth event comes two days
-late. Each query runs the stream to its end (availableNow) and returns what the sink holds.
+late; events without a time come on the first day. Each query runs the stream to its end (availableNow) and returns what the sink holds.
 """
 
 from __future__ import annotations
@@ -27,7 +27,7 @@ ENTRIES: dict[str, tuple] = {}
 def arriving(spark: SparkSession, sf_dir: str) -> DataFrame:
     e = read(spark, sf_dir, "events")
     late = F.when(F.col("event_id") % 20 == 0, 2).otherwise(0)
-    return e.select("event_id", F.col("ts").cast("timestamp").alias("ts"), "user_id", "event_type", "value", "props", (F.datediff(F.col("ts").cast("date"), F.lit(FIRST_DAY).cast("date")) + late).cast("int").alias("arrival"))
+    return e.select("event_id", F.col("ts").cast("timestamp").alias("ts"), "user_id", "event_type", "value", "props", F.coalesce(F.datediff(F.col("ts").cast("date"), F.lit(FIRST_DAY).cast("date")) + late, F.lit(0)).cast("int").alias("arrival"))
 
 
 @lru_cache(maxsize=16)
