@@ -2,6 +2,7 @@
 
 import random
 import time
+from dataclasses import asdict
 
 import pandas as pd
 import pytest
@@ -39,7 +40,11 @@ def test_same_matches(monkeypatch, text, share, chunk, page):
                 got = pathfirst.PathFirst(p, frame, k, injective, known_k)
                 got.run()
                 assert [(w, tuple(m)) for w, *m in got.best] == want
-            assert list(kernel.spine_first(p, kernel.Candidates(p, frame), kernel.Counters(), k, injective)) == want
+            c = kernel.Counters()
+            assert list(kernel.spine_first(p, kernel.Candidates(p, frame), c, k, injective)) == want
+            found = pathfirst.PathFirst(p, frame, k, injective)
+            found.run()
+            assert found.counters() == asdict(c)
 
 
 def test_ties_are_no_square_of_work():
