@@ -64,6 +64,16 @@ def test_experiment_without_links_for_each_query(spark, always, monkeypatch):
     assert {r["results"] for r in got.values()} == {want} and got["spine"]["pops"] > 0
 
 
+def test_same_counters(spark, always):
+    index, p, bindings = batch(spark, workloads.TEMPLATES["activity"]["T4"], 10)
+    rows = lambda df: sorted(map(tuple, df.select("qid", *workloads.COUNTED, "results").collect()))
+    cg, got = sweep_up(index, p, bindings, injective=True), shared.share(index, p, bindings, kernel.KERNEL_ROWS)
+    links, paths = got.candidates(True), got.paths()
+    assert rows(kernel.counters(cg, 5)) == rows(kernel.counters(cg, 5, rows=links))
+    assert rows(kernel.bulk_counters(cg, 5)) == rows(kernel.bulk_counters(cg, 5, rows=links))
+    assert rows(kernel.counters(cg, 5, "spine", rows=kernel.spine_rows(index, p, bindings))) == rows(kernel.spine_counters(p, 5, paths))
+
+
 def test_little_reach_and_large_queries_keep_links_of_their_own(spark):
     index, p, bindings = batch(spark, workloads.TEMPLATES["activity"]["T2"], 20)
     assert shared.share(index, p, bindings, kernel.KERNEL_ROWS) is None
