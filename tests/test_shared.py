@@ -74,6 +74,17 @@ def test_same_counters(spark, always):
     assert rows(kernel.counters(cg, 5, "spine", rows=kernel.spine_rows(index, p, bindings))) == rows(kernel.spine_counters(p, 5, paths))
 
 
+def test_successors_beyond_the_beam_are_not_sorted(spark, monkeypatch):
+    index, p, bindings = batch(spark, workloads.TEMPLATES["activity"]["T2"], 3)
+    cg, seen, ranked = sweep_up(index, p, bindings, injective=True, keep=True), [], search.ranked
+    monkeypatch.setattr(search, "ranked", lambda df, k: seen.append(df) or ranked(df, k))
+    rows = lambda df: sorted(map(tuple, df.select("qid", "rank", "weight", *search.places(df)).collect()))
+    found = rows(search.topk_iso(cg, 2, beam=16))
+    assert found and found == rows(kernel.run(cg, 2))
+    assert all("most" in df.columns for df in seen[:3])  # those of the one plan
+    assert seen[2].where("most is not null").count() and not seen[2].where("bound > most").count()
+
+
 def test_little_reach_and_large_queries_keep_links_of_their_own(spark):
     index, p, bindings = batch(spark, workloads.TEMPLATES["activity"]["T2"], 20)
     assert shared.share(index, p, bindings, kernel.KERNEL_ROWS) is None
