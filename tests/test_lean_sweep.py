@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 
 from tests.conftest import SMALL
 from tests.test_shared import OTHERS, batch
-from twigrank.operators import kernel, search, shared, sweep
+from twigrank.operators import enumeration, kernel, pathfirst, search, shared, sweep
 from twigrank.plans import workloads
 from twigrank.sources import graphs
 
@@ -86,3 +86,30 @@ def test_counters_of_queue_search_on_packed_links(spark, monkeypatch):
     links = shared.share(index, p, bindings, kernel.KERNEL_ROWS).candidates(True)
     rows = lambda df: sorted(map(tuple, df.select("qid", *workloads.COUNTED, "results").collect()))
     assert rows(kernel.counters(sweep.sweep_up(index, p, bindings, injective=True), 5)) == rows(kernel.counters(workloads.unswept(p, True), 5, rows=links))
+
+
+def test_links_in_order_are_not_sorted_again(monkeypatch):
+    p = workloads.pattern("activity", "T4")
+    place = {x.child: i for i, x in enumerate(p.preorder_edges())}
+    made = np.random.default_rng(5)
+    links = [(place["k"], u, k, int(made.integers(1, 9)), 0) for u in range(20) for k in range(100, 110) if (u + k) % 3]
+    links += [(place[v], u, b, int(made.integers(1, 9)), 0) for v, b in (("d", 200), ("d2", 201)) for u in range(20)]
+    links += [(place["e"], k, 300, int(made.integers(1, 9)), 0) for k in range(100, 110)]
+    links += [(-1, -1, u, 0, 0) for u in range(20)]
+    rows = pd.DataFrame(links, columns=["e", "c", "d", "w", "wf"])
+    kept = rows.sort_values(["e", "c", "d"])
+    want, mixed = enumeration.Enumeration(p, kept, [], 7), enumeration.Enumeration(p, rows.sample(frac=1, random_state=1), [], 7)
+    paths = [pathfirst.PathFirst(p, x, 7) for x in (kept, rows.sample(frac=1, random_state=2))]
+    for x in (want, mixed, *paths):
+        x.run()
+    assert len(want.best) == 7 and all(x.best == want.best for x in (mixed, *paths))
+    monkeypatch.setattr(np, "lexsort", None)
+    again = enumeration.Enumeration(p, kept, [], 7)
+    again.run()
+    assert again.best == want.best and kernel.Candidates(p, kept).out_degree == kernel.Candidates(p, rows).out_degree
+
+
+def test_order_is_lexicographic():
+    order = lambda *columns: pathfirst.in_order(*map(np.array, columns))
+    assert order([1, 1, 2], [3, 4, 0]) and order([1, 1, 1], [2, 2, 2]) and order([], []) and order([4], [1])
+    assert not order([1, 1, 2], [4, 3, 0]) and not order([2, 1], [0, 5]) and not order([1, 1, 1], [2, 2, 2], [0, 2, 1])
